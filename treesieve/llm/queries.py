@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
-from . import bpe
+from . import bpe, line_rules
 
 QUERIES = {
     "op8_bpe_codec": bpe.query,
+    "op10_line_frequency_rules": line_rules.query,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {
+    "op10_line_frequency_rules": line_rules.ORACLE,
+}
