@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import list_array, ragged, table
+from .common import list_array, ragged, slices, table
 
 #: Fixed value: how the byte-level vocabulary splits text before any merge.
 WORD = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
@@ -78,7 +78,7 @@ class Recent:
 class Trie:
     """Encoder and decoder of one vocabulary. Inside, a byte is its own number and merge r is 256+r."""
 
-    def __init__(self, path: str, max_words: int = 250_000):
+    def __init__(self, path: str, max_words: int = 100_000):
         spec = json.load(open(path, encoding="utf-8"))
         by_char, vocab = printable_bytes(), spec["model"]["vocab"]
         raw = lambda s: bytes(by_char[c] for c in s)
@@ -199,7 +199,7 @@ class Trie:
 
     def learn(self, chunks: list[str]) -> None:
         split = [self.split(c[1:] if c[:1] == " " else " " + c) for c in chunks]
-        if len(self.stable) > 1_000_000:
+        if len(self.stable) > 300_000:
             self.stable.clear()
         self.insert(self.words.lacking(set().union(*split)))
         words = self.words.new
@@ -252,8 +252,7 @@ def encode(df: DataFrame, column: str = "text", out: str = "token_ids", path: st
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = trie(path)
         for batch in batches:
-            for at in range(0, batch.num_rows, rows):
-                part = batch.slice(at, rows)
+            for part in slices(batch, column, rows):
                 ids, lengths = t.encode_batch([x or "" for x in part.column(column).to_pylist()])
                 yield _with(part, out, list_array(pa.array(ids), lengths))
 
@@ -267,8 +266,7 @@ def decode(df: DataFrame, column: str = "token_ids", out: str = "decoded", path:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = trie(path)
         for batch in batches:
-            for at in range(0, batch.num_rows, rows):
-                part = batch.slice(at, rows)
+            for part in slices(batch, column, rows, 1 << 20):
                 ids = part.column(column)
                 lengths = np.array([0 if n is None else n for n in ids.value_lengths().to_pylist()], np.int64)
                 yield _with(part, out, pa.array(t.decode_batch(ids.flatten().to_numpy(zero_copy_only=False).astype(np.int64), lengths)))

@@ -62,11 +62,26 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def slices(batch: pa.RecordBatch, column: str, rows: int = 1024, size: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+    """Slices of a batch of at most so many rows, and of at most so many bytes of a text column or values
+    of a list column (or one row)."""
+    import pyarrow.compute as pc
+
+    values = batch.column(column)
+    each = pc.fill_null(pc.list_value_length(values) if pa.types.is_list(values.type) else pc.binary_length(values), 0)
+    ends = np.cumsum(each.to_numpy(zero_copy_only=False), dtype=np.int64)
+    at = 0
+    while at < batch.num_rows:
+        before = ends[at - 1] if at else 0
+        to = min(at + rows, max(at + 1, int(np.searchsorted(ends, before + size, side="right"))))
+        yield batch.slice(at, to - at)
+        at = to
+
+
 def texts(batches: Iterator[pa.RecordBatch], column: str = "text", rows: int = 1024) -> Iterator[tuple[pa.RecordBatch, list[bytes]]]:
     """Slices of the batches with their texts as UTF-8 bytes; null is empty."""
     for batch in batches:
-        for at in range(0, batch.num_rows, rows):
-            part = batch.slice(at, rows)
+        for part in slices(batch, column, rows):
             yield part, [b"" if t is None else t for t in part.column(column).cast(pa.large_binary()).to_pylist()]
 
 
