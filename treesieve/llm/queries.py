@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from . import bpe, line_rules, simhash
+from . import bpe, line_rules, qda, simhash
 
 QUERIES = {
+    "op2_regularised_qda": qda.query,
     "op6_simhash_deletion_variants": simhash.query,
     "op8_bpe_codec": bpe.query,
     "op10_line_frequency_rules": line_rules.query,
