@@ -29,6 +29,8 @@ from .line_rules import INSIDE, SYMBOLS, WHITE
 FOLDS, HELD_OUT, THRESHOLD = 5, 0, 0.3
 SHRINK, POOL, FLOOR = 0.1, 0.2, 1e-4
 FEATURES = ["words", "lines", "word_length", "symbols", "upper", "digits", "marks", "exclaims", "bars", "other", "distinct_words", "top_word", "distinct_lines", "symbol_words", "words_a_line"]
+#: Added to what a share is of, so that the shares of a few words don't look extreme.
+SMOOTH = 20
 PUNCTUATION = b".,;:!?\"'()-"
 UPPER, DIGITS = bytes(range(65, 91)), b"0123456789"
 NEITHER = bytes(b for b in range(33, 127) if not chr(b).isalnum() and b not in SYMBOLS + PUNCTUATION)
@@ -41,12 +43,12 @@ def statistics(text: bytes) -> list[float]:
     chars = max(1, len(text.translate(None, WHITE + INSIDE)))
     lines = [x for x in text.split(b"\n") if x.strip(WHITE)]
     times = Counter(words)
-    share = lambda k, of: (k / of) ** 0.5
+    share = lambda k, of, own=0: ((k + own) / (of + SMOOTH)) ** 0.5
     ends = sum(k for w, k in times.items() if w[-1:] in b"#*$%&|<>!")
     return [
         np.log1p(n), np.log1p(len(lines)), np.log1p(chars / max(1, n)), share(count(SYMBOLS), chars), share(count(UPPER), chars), share(count(DIGITS), chars),
         share(count(PUNCTUATION), chars), share(text.count(b"!"), chars), share(text.count(b"|"), chars), share(count(NEITHER), chars),
-        share(len(times), max(1, n)), share(max(times.values(), default=0), max(1, n)), share(len(set(lines)), max(1, len(lines))), share(ends, max(1, n)), np.log1p(n / max(1, len(lines))),
+        share(len(times), n, SMOOTH), share(max(times.values(), default=0), n), share(len(set(lines)), len(lines), SMOOTH), share(ends, n), np.log1p(n / max(1, len(lines))),
     ]
 
 
