@@ -2,15 +2,20 @@
 
 from __future__ import annotations
 
-from . import bpe, line_rules, qda, simhash
+from . import bpe, chat, compaction, line_rules, mih, qda, simhash
 
 QUERIES = {
     "op2_regularised_qda": qda.query,
+    "op3_multi_index_hashing": mih.query,
+    "op5_preference_format": chat.query,
+    "op7_size_tiered_compaction": compaction.query,
     "op6_simhash_deletion_variants": simhash.query,
     "op8_bpe_codec": bpe.query,
     "op10_line_frequency_rules": line_rules.query,
 }
 
 ORACLE_SQL: dict[str, str] = {
+    "op3_multi_index_hashing": mih.ORACLE,
+    "op5_preference_format": chat.ORACLE,
     "op10_line_frequency_rules": line_rules.ORACLE,
 }
