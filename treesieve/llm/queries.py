@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from . import bpe, chat, compaction, line_rules, mih, qda, simhash
+from . import bpe, chat, compaction, line_rules, mih, mixing, qda, simhash
 
 QUERIES = {
+    "op1_soft_membership_mixing": mixing.query,
     "op2_regularised_qda": qda.query,
     "op3_multi_index_hashing": mih.query,
     "op5_preference_format": chat.query,
