@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import bpe, chat, compaction, line_rules, mih, mixing, qda, simhash
+from . import bpe, chat, compaction, line_rules, lm, mih, mixing, qda, simhash
 
 QUERIES = {
     "op1_soft_membership_mixing": mixing.query,
@@ -12,6 +12,7 @@ QUERIES = {
     "op7_size_tiered_compaction": compaction.query,
     "op6_simhash_deletion_variants": simhash.query,
     "op8_bpe_codec": bpe.query,
+    "op9_causal_attention": lm.query,
     "op10_line_frequency_rules": line_rules.query,
 }
 
