@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import itertools
 import tempfile
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -62,6 +63,14 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def written(df: DataFrame) -> DataFrame:
+    """Like ``durable`` for tables of many rows: a Parquet table in the shared folder, in which runs of ids
+    take little room."""
+    at = f"{shared_dir(df.sparkSession)}/table-{uuid.uuid4().hex}"
+    df.write.option("compression", "zstd").parquet(at)
+    return df.sparkSession.read.schema(df.schema).parquet(at)
+
+
 def slices(batch: pa.RecordBatch, column: str, rows: int = 1024, size: int = 4 << 20) -> Iterator[pa.RecordBatch]:
     """Slices of a batch of at most so many rows, and of at most so many bytes of a text column or values
     of a list column (or one row)."""
