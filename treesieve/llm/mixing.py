@@ -6,7 +6,7 @@ Naive Bayes over hashed words, fitted on a bounded number of labelled rows a dom
 all documents: with r the rate, t the tokens and p the posterior of a document, the expected tokens
 of domain k are S_k = sum(r t p_k), and projected gradient steps bring S to the targets T in least
 squares, r <- min(max_rate, max(0, r - p . g)), where g is the residual S - T in the metric of the
-domains' token matrix sum(t p p'). A step needs the few sums S from one pass over documents' tokens
+domains' token matrix sum(t p p') over those whose rate isn't 0. A step needs the few sums S from one pass over documents' tokens
 and posteriors, and nothing else reaches the driver; a document's rate is a function of its
 posterior and the steps so far.
 
@@ -30,7 +30,7 @@ from .common import durable, table, words_of
 
 DOMAINS = ("clean", "low", "toxic")
 TARGETS = {"clean": 0.98, "low": 0.01, "toxic": 0.01}
-ROWS_A_DOMAIN, BUCKETS, STEPS, CLOSE = 2000, 1 << 14, 40, 1e-4
+ROWS_A_DOMAIN, BUCKETS, STEPS, CLOSE = 2000, 1 << 14, 12, 1e-3
 
 
 def unit(doc_id: Column, salt: int) -> Column:
@@ -82,7 +82,9 @@ def memberships(docs: DataFrame, evidence: tuple[list[float], np.ndarray]) -> Da
     top = F.greatest(*odds)
     each = [F.exp(F.greatest(o - top, F.lit(-700.0))) for o in odds]
     whole = each[0] + each[1] + each[2]
-    return seen.select(*[docs[c] for c in docs.columns], F.col("_s")["n"].alias("n_tokens"), *[(e / whole).alias(f"p_{d}") for d, e in zip(DOMAINS, each, strict=True)])
+    found = F.struct(F.col("_s")["n"].alias("n_tokens"), *[(e / whole).alias(f"p_{d}") for d, e in zip(DOMAINS, each, strict=True)])
+    # generated, one row each, so that a later condition on the posteriors is not written out down to the words
+    return seen.select(*docs.columns, F.inline(F.array(found)))
 
 
 def rate_of(steps: list[np.ndarray], max_rate: float) -> Column:
@@ -97,27 +99,29 @@ def fit_rates(members: DataFrame, targets: dict[str, float] = TARGETS, total: fl
     """members: (n_tokens, p_*). The gradient steps that bring expected domain tokens to their targets."""
     p = [F.col(f"p_{d}") for d in DOMAINS]
     k = len(DOMAINS)
-    first = members.agg(*[F.sum(F.col("n_tokens") * x).alias(f"s{i}") for i, x in enumerate(p)], *[F.sum(F.col("n_tokens") * p[i] * p[j]).alias(f"m{i}{j}") for i in range(k) for j in range(i, k)]).first()
-    sums = np.array([first[f"s{i}"] or 0.0 for i in range(k)])
+
+    def pass_over(done: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        """Expected tokens by domain, and the token matrix of the documents whose rate can still move down."""
+        r = F.col("_r")
+        free = F.when(r > 0, F.col("n_tokens")).otherwise(0)
+        row = members.withColumn("_r", rate_of(done, max_rate)).agg(*[F.sum(r * F.col("n_tokens") * x).alias(f"s{i}") for i, x in enumerate(p)], *[F.sum(free * p[i] * p[j]).alias(f"m{i}{j}") for i in range(k) for j in range(i, k)]).first()
+        return np.array([row[f"s{i}"] or 0.0 for i in range(k)]), np.array([[row[f"m{min(i, j)}{max(i, j)}"] or 0.0 for j in range(k)] for i in range(k)])
+
+    sums, gram = pass_over([])
     if sums.sum() == 0:
         return []
-    gram = np.array([[first[f"m{min(i, j)}{max(i, j)}"] or 0.0 for j in range(k)] for i in range(k)])
-    weight = np.array([targets.get(d, 0.0) for d in DOMAINS])
     there = sums > 1e-9 * sums.sum()
-    weight = np.where(there, weight, 0)
+    weight = np.where(there, [targets.get(d, 0.0) for d in DOMAINS], 0)
     weight = weight / weight.sum()
-    asked = (weight > 0) & there
+    asked = weight > 0
     goal = weight * (total if total is not None else (sums[asked] / weight[asked]).min())
-    metric = np.linalg.pinv(gram + 1e-9 * np.trace(gram) * np.eye(k))
     done: list[np.ndarray] = []
-    for _ in range(steps):
+    while len(done) < steps:
         residual = np.where(there, sums - goal, 0)
         if np.abs(residual).max() <= CLOSE * goal.sum():
             break
-        done.append(metric @ residual)
-        r = rate_of(done, max_rate)
-        row = members.agg(*[F.sum(r * F.col("n_tokens") * x) for x in p]).first()
-        sums = np.array([x or 0.0 for x in row])
+        done.append(np.linalg.pinv(gram + 1e-9 * np.trace(gram) * np.eye(k)) @ residual)
+        sums, gram = pass_over(done)
     return done
 
 
