@@ -229,3 +229,31 @@ def evaluate(e: E, row: dict[tuple[str, int], Any]) -> Any:
         "prefix": lambda: a[0].startswith(a[1]), "double": lambda: float(a[0]), "isnan": lambda: a[0] != a[0],
     }
     return table[e.op]()
+
+
+def to_sql(e: E, names: dict[int, str]) -> str:
+    """The expression in SQL that other engines run too; ``names`` gives each side's table alias."""
+    if e.op == "lit":
+        v = e.value
+        if v is None:
+            return "NULL"
+        if isinstance(v, bool):
+            return str(v).upper()
+        if isinstance(v, float):
+            return f"CAST('{v!r}' AS DOUBLE)"
+        return str(v) if isinstance(v, int) else "'" + str(v).replace("'", "''") + "'"
+    if e.op == "col":
+        return f"{names[e.value[1]]}.{e.value[0]}"
+    if e.op in KERNELS:
+        return to_sql(KERNELS[e.op](*e.args), names)
+    a = [to_sql(x, names) for x in e.args]
+    if e.op in BINARY and e.op not in ("pow", "prefix"):
+        return f"({a[0]} {'<>' if e.op == '!=' else e.op.upper()} {a[1]})"
+    if e.op == "case":
+        return "(CASE " + " ".join(f"WHEN {a[i]} THEN {a[i + 1]}" for i in range(0, len(a) - 1, 2)) + f" ELSE {a[-1]} END)"
+    plain = {"neg": "(-{0})", "not": "(NOT {0})", "null": "({0} IS NULL)", "notnull": "({0} IS NOT NULL)", "prefix": "starts_with({0}, {1})", "sqrt": "sqrt(greatest({0}, 0))", "double": "CAST({0} AS DOUBLE)", "log": "ln({0})"}
+    if e.op in plain:
+        return plain[e.op].format(*a)
+    if e.op == "in":
+        return f"({a[0]} IN ({', '.join(a[1:])}))"
+    return f"{e.op}({', '.join(a)})"

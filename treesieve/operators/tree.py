@@ -217,8 +217,8 @@ def build(df: DataFrame, spec: TreeSpec, path: str | None = None) -> Tree:
     for p, n in sizes:
         offsets.append((p, before))
         before += n
-    of = spark.createDataFrame(offsets or [(0, 0)], "p long, before long")
-    leafed = fixed.join(F.broadcast(of), part == F.col("p")).withColumn("leaf_id", F.floor((F.col("before") + inside) / spec.leaf_rows).cast("long")).select(*df.columns, "leaf_id")
+    of = spark.createDataFrame(offsets or [(0, 0)], "__p long, __before long")
+    leafed = fixed.join(F.broadcast(of), part == F.col("__p")).withColumn("leaf_id", F.floor((F.col("__before") + inside) / spec.leaf_rows).cast("long")).select(*df.columns, "leaf_id")
     leafed.write.parquet(f"{path}/rows")
     return _finish(spark.read.parquet(f"{path}/rows"), df.schema, spec, path, before, began)
 

@@ -1,0 +1,4 @@
+"""The relational operators around a tree query."""
+
+QUERIES: dict = {}
+ORACLE: dict = {}
