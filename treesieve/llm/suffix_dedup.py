@@ -142,7 +142,8 @@ def repeats(docs: DataFrame) -> DataFrame:
     """(doc_id, start, end, n_words, first_doc): passages, as word positions, all of whose words stand earlier; first_doc
     is the smallest id of a document that has some 50 words of it first."""
     every = suffixes(docs)
-    shared = every.groupBy("key").agg(F.count("*").alias("_n")).where("_n > 1").select("key")
+    # what is grouped is written before it is joined back, so that the join's partitions can be split where a key is hot
+    shared = written(every.groupBy("key").agg(F.count("*").alias("_n")).where("_n > 1").select("key"))
     met = written(every.join(shared, "key", "left_semi"))
     variants = met.groupBy("key", "around").agg(F.min(F.struct("doc", "pos")).alias("first"), F.count("*").alias("n"))
     variants = written(variants)
@@ -150,10 +151,10 @@ def repeats(docs: DataFrame) -> DataFrame:
     left = F.least(F.col("pos"), F.lit(MIN_WORDS - PREFIX))
     whole = whole.select("doc", (F.col("pos") - left).alias("start"), (F.col("pos") + F.col("right")).alias("end"), F.col("first.doc").alias("src"))
 
-    many = variants.groupBy("key").agg(F.count("*").alias("_n")).where("_n > 1").select("key")
+    many = written(variants.groupBy("key").agg(F.count("*").alias("_n")).where("_n > 1").select("key"))
     places = variants.join(many, "key", "left_semi").select("first.doc", "first.pos")
     fine = written(fine_windows(docs, places))
-    firsts = fine.groupBy("a", "b").agg(F.min(F.struct("doc", "pos")).alias("first"), F.count("*").alias("n")).where("n > 1").drop("n")
+    firsts = written(fine.groupBy("a", "b").agg(F.min(F.struct("doc", "pos")).alias("first"), F.count("*").alias("n")).where("n > 1").drop("n"))
     windows = fine.join(firsts, ["a", "b"]).where("struct(doc, pos) <> first").select("doc", F.col("pos").alias("start"), (F.col("pos") + MIN_WORDS).alias("end"), F.col("first.doc").alias("src"))
 
     ordered = Window.partitionBy("doc").orderBy("start", "end")
