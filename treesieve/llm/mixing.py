@@ -10,8 +10,9 @@ domains' token matrix sum(t p p') over those whose rate isn't 0. A step needs th
 and posteriors, and nothing else reaches the driver; a document's rate is a function of its
 posterior and the steps so far.
 
-A target weight is a share of the mix's tokens. The total is the largest for which no domain has to
-be repeated, unless it is given. A row is kept ``copies`` times: its rate rounded up or down by a
+A target weight is a share of the mix's tokens. Unless a total is given, it is the one at which the
+domain of the largest weight is kept whole. A domain that has less than its target, at the largest
+rate, is asked for what it has. A row is kept ``copies`` times: its rate rounded up or down by a
 hash of its id.
 
 Results: a null or empty text has no tokens and the prior as its posterior; a labelled row whose
@@ -113,8 +114,8 @@ def fit_rates(members: DataFrame, targets: dict[str, float] = TARGETS, total: fl
     there = sums > 1e-9 * sums.sum()
     weight = np.where(there, [targets.get(d, 0.0) for d in DOMAINS], 0)
     weight = weight / weight.sum()
-    asked = weight > 0
-    goal = weight * (total if total is not None else (sums[asked] / weight[asked]).min())
+    main = int(np.argmax(weight))
+    goal = np.minimum(weight * (total if total is not None else sums[main] / weight[main]), max_rate * sums)
     done: list[np.ndarray] = []
     while len(done) < steps:
         residual = np.where(there, sums - goal, 0)
