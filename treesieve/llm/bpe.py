@@ -60,6 +60,9 @@ class Recent:
     def __init__(self, size: int):
         self.size, self.new, self.old = size, {}, {}
 
+    def forget(self) -> None:
+        self.new, self.old = {}, {}
+
     def lacking(self, keys: set[str]) -> list[str]:
         """The keys that have to be worked out; all others are in ``new`` from now on."""
         if len(self.new) > self.size:
@@ -117,6 +120,12 @@ class Trie:
         self.starts = np.cumsum(self.lengths) - self.lengths
         self.bytes = np.frombuffer(b"".join(table), np.uint8)
 
+    def forget(self) -> None:
+        """Lets go of words: workers outlive their tasks, and other stages need the memory."""
+        for held in (self.chunks, self.words):
+            held.forget()
+        self.stable.clear()
+
     def is_stable(self, a: int, b: int) -> bool:
         joined, before = self.joined, 1 << 30
         while True:
@@ -255,6 +264,7 @@ def encode(df: DataFrame, column: str = "text", out: str = "token_ids", path: st
             for part in slices(batch, column, rows):
                 ids, lengths = t.encode_batch([x or "" for x in part.column(column).to_pylist()])
                 yield _with(part, out, list_array(pa.array(ids), lengths))
+        t.forget()
 
     return df.mapInArrow(run, _added(df.schema, out, T.ArrayType(T.IntegerType())))
 

@@ -9,8 +9,9 @@ of variants, and what meets is verified.
 A bucket holds fingerprints that agree on all but the bits in which they may differ: 33 bits at
 first. A bucket of at most ``BUCKET`` members is verified whole, and leaves a link from each member
 to the smallest of its component, not every pair. A larger one goes to the next level: its free
-bits are again cut into two and wildcarded, which leaves 17 free bits, and then 9. Distinct values
-with 9 free bits number at most 512, so the last level has no large bucket and no link is lost.
+bits are again cut into two and wildcarded, which leaves 17 or 18 free bits, and then 9 or 10. Distinct
+values with 10 free bits number at most 1024, so the last level has no large bucket and no link is
+lost.
 
 Exact copies share a fingerprint and are one row throughout. Links become components by rounds of
 joins; nothing but counts reaches the driver.
@@ -190,14 +191,12 @@ def _keyed(rows: DataFrame, level: int) -> DataFrame:
     """(key, var, fp): each row under all variants that refine its own. The key is a hash of variant and
     agreed bits; buckets that collide are verified like any other."""
     all_of, masks, _ = variants(level)
-    per = len(all_of) // len(variants(level - 1)[0])
     if level == 1:
         table_of: Column = F.array(*[F.lit(m).cast("long") for m in masks])
         out = rows.select(F.posexplode(table_of).alias("i", "m"), "fp").select(F.col("i").cast("long").alias("var"), "m", "fp")
     else:
         of = rows.sparkSession.createDataFrame([(p, i, m) for i, (p, m) in enumerate(all_of)], "p long, i long, m long")
-        out = rows.join(F.broadcast(of), F.col("var") == F.col("p")).select(F.col("i").alias("var"), "m", "fp")  # `per` rows each, of a table of fixed size
-    assert per in (64, 33, 17)
+        out = rows.join(F.broadcast(of), F.col("var") == F.col("p")).select(F.col("i").alias("var"), "m", "fp")  # a table of fixed size
     return out.select(F.xxhash64("var", F.col("fp").bitwiseAND(F.col("m"))).alias("key"), "var", "fp")
 
 
