@@ -17,7 +17,8 @@ hash of its id.
 
 Results: a null or empty text has no tokens and the prior as its posterior; a labelled row whose
 label is null counts as not having it; a domain without labelled rows gets posterior 0, without any
-labels all is clean; a target for a domain without tokens can't be met and is left out; null ids
+labels all is clean; a target for a domain without tokens can't be met and is left out, and without any target all rates
+are 1; null ids
 hash like a value; repeated rows get equal rates; an empty table gives an empty table.
 """
 
@@ -113,6 +114,8 @@ def fit_rates(members: DataFrame, targets: dict[str, float] = TARGETS, total: fl
         return []
     there = sums > 1e-9 * sums.sum()
     weight = np.where(there, [targets.get(d, 0.0) for d in DOMAINS], 0)
+    if weight.sum() == 0:
+        return []
     weight = weight / weight.sum()
     main = int(np.argmax(weight))
     goal = np.minimum(weight * (total if total is not None else sums[main] / weight[main]), max_rate * sums)
