@@ -6,12 +6,12 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-from treesieve.llm import bpe, line_rules, mixing, simhash, suffix_dedup
+from treesieve.llm import bpe, jaccard, line_rules, mixing, suffix_dedup
 from treesieve.llm.common import shared_dir
 
 STAGES = [
     ("quality_rules", line_rules.stage),
-    ("simhash_near_dedup", simhash.stage),
+    ("simhash_near_dedup", jaccard.stage),
     ("suffix_array_dedup", suffix_dedup.stage),
     ("mixing_to_targets", mixing.stage),
     ("bpe_encoding", bpe.stage),
