@@ -2,7 +2,9 @@
 
 Every ``\\n``-split line with a word is normalised (A-Z lowered, white space runs made one space,
 ends trimmed) and hashed together with its host, the column ``source``. A line that stands in more
-than ``max(min_docs, max_share * documents of the host)`` documents is boilerplate: it is removed,
+than ``max(min_docs, max_share * documents of the host)`` documents, or ``most_docs`` if given, is
+boilerplate, so that with ``most_docs`` the limit doesn't grow with the host (the stage of the pipeline
+has ``min_docs`` for it; the query is held against SQL without it). Boilerplate is removed,
 and a document that keeps less than ``min_left`` of its words is depleted and rejected. The base
 rules look at the text as it came.
 
@@ -22,14 +24,14 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import durable, table, texts
+from .common import durable, table, texts, written
 
 #: Fixed values of the base rules.
 SYMBOLS, MIN_WORDS, MAX_REPEAT_SHARE = b"#*$%&|<>", 50, 0.5
 WHITE = b" \t\n\x0b\x0c\r"
 INSIDE = bytes(range(0x80, 0xC0))  # bytes of UTF-8 that don't begin a character
 MAX_SHARE, MIN_DOCS, MIN_LEFT = 0.10, 10, 0.5
-#: Up to so many boilerplate lines, they are broadcast; beyond, hosts are joined by shuffle.
+#: Up to so many boilerplate lines, they are broadcast; beyond, lines are joined by shuffle.
 BROADCAST_LINES = 50_000
 
 
@@ -87,22 +89,45 @@ def line_counts(docs: DataFrame, flush: int = 200_000) -> DataFrame:
     return docs.select("source", "text").mapInArrow(run, "source string, line long, n long").groupBy("source", "line").agg(F.sum("n").alias("n"))
 
 
-def boilerplate(docs: DataFrame, max_share: float = MAX_SHARE, min_docs: int = MIN_DOCS) -> DataFrame:
+def line_rows(rows: DataFrame) -> DataFrame:
+    """(_row, line): the hashes of the lines of each row."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part, found in texts(batches):
+            row, line = [], []
+            for r, host, text in zip(part.column("_row").to_pylist(), part.column("source").to_pylist(), found, strict=True):
+                name = b"\x00" if host is None else b"\x01" + host.encode()
+                own = {line_hash(name, x) for x in text.split(b"\n") if x.strip(WHITE)}
+                line.extend(own)
+                row.extend([r] * len(own))
+            yield pa.RecordBatch.from_arrays([pa.array(row, pa.int64()), pa.array(line, pa.int64())], names=["_row", "line"])
+
+    return rows.select("_row", "source", "text").mapInArrow(run, "_row long, line long")
+
+
+def boilerplate(docs: DataFrame, max_share: float = MAX_SHARE, min_docs: int = MIN_DOCS, most_docs: int | None = None) -> DataFrame:
     """(source, lines): the hashes of the lines of a host that are above its limit."""
     counts = durable(line_counts(docs).where((F.col("n") > min_docs) | F.col("line").isNull()))
     hosts = counts.where("line is null").select(F.col("source").alias("host"), F.col("n").alias("docs"))
-    over = counts.where("line is not null").join(hosts, F.col("source").eqNullSafe(F.col("host"))).where(F.col("n") > F.greatest(F.lit(float(min_docs)), F.lit(max_share) * F.col("docs")))
+    limit = F.greatest(F.lit(float(min_docs)), F.lit(max_share) * F.col("docs"))
+    if most_docs is not None:
+        limit = F.least(limit, F.lit(float(max(min_docs, most_docs))))
+    over = counts.where("line is not null").join(hosts, F.col("source").eqNullSafe(F.col("host"))).where(F.col("n") > limit)
     return over.groupBy("source").agg(F.collect_set("line").alias("lines"), F.count("*").alias("n_lines"))
 
 
-def judged(docs: DataFrame, max_share: float = MAX_SHARE, min_docs: int = MIN_DOCS, min_left: float = MIN_LEFT) -> DataFrame:
+def judged(docs: DataFrame, max_share: float = MAX_SHARE, min_docs: int = MIN_DOCS, min_left: float = MIN_LEFT, most_docs: int | None = None, broadcast: int = BROADCAST_LINES) -> DataFrame:
     """All columns of docs (doc_id, text, source, ...), text without its boilerplate lines, and the
     base columns, n_removed_lines, words_left, base_failed, kept."""
-    over = durable(boilerplate(docs, max_share, min_docs))
-    bound = (over.agg(F.sum("n_lines")).first()[0] or 0) <= BROADCAST_LINES
-    over = over.select(F.col("source").alias("_host"), F.col("lines").alias("_lines"))
-    joined = docs.join(F.broadcast(over) if bound else over, F.col("source").eqNullSafe(F.col("_host")), "left").drop("_host")
+    over = durable(boilerplate(docs, max_share, min_docs, most_docs))
     names = docs.columns
+    if (over.agg(F.sum("n_lines")).first()[0] or 0) <= broadcast:
+        over = over.select(F.col("source").alias("_host"), F.col("lines").alias("_lines"))
+        joined = docs.join(F.broadcast(over), F.col("source").eqNullSafe(F.col("_host")), "left").drop("_host")
+    else:  # a row meets its own lines only, not all of its host's
+        rows = written(docs.withColumn("_row", F.monotonically_increasing_id()))
+        own = line_rows(rows).join(over.select(F.explode("lines").alias("line")), "line").groupBy("_row").agg(F.collect_set("line").alias("_lines"))
+        joined = rows.join(own, "_row", "left").drop("_row")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, found in texts(batches):
@@ -139,7 +164,7 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that are kept, without their boilerplate lines."""
     docs = docs.select("doc_id", "text", "lang", "source", "n_chars")
-    return judged(docs).where("kept").select("doc_id", "text", "lang", "source", F.length("text").cast("long").alias("n_chars"))
+    return judged(docs, most_docs=MIN_DOCS).where("kept").select("doc_id", "text", "lang", "source", F.length("text").cast("long").alias("n_chars"))
 
 
 ORACLE = r"""
