@@ -19,6 +19,7 @@ doc_id in it (null only if all are null); an empty table gives an empty table.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -26,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import components, durable, slices, texts, written
+from .common import components, durable, list_array, texts, written
 from .simhash import shingle_hashes
 
 WIDTH, LEVEL, BANDS, ROWS = 5, 0.8, 24, 4
@@ -34,55 +35,48 @@ WIDTH, LEVEL, BANDS, ROWS = 5, 0.8, 24, 4
 LEADERS, GROWTH, SALTS = 1, 8, 64
 
 
+@lru_cache(maxsize=4)
+def orders(n: int) -> tuple[np.ndarray, np.ndarray]:
+    odd, flip = np.random.default_rng(11).integers(0, 1 << 63, (2, n), dtype=np.int64).astype(np.uint64)
+    return odd | np.uint64(1), flip
+
+
 def bands(shingles: np.ndarray, n: int = BANDS, rows: int = ROWS) -> np.ndarray:
     """Keys of a set of hashes; none of the empty set."""
     if not len(shingles):
         return np.empty(0, np.int64)
-    rng = np.random.default_rng(11)
-    odd, flip = rng.integers(0, 1 << 63, (2, n * rows), dtype=np.int64).astype(np.uint64)
+    odd, flip = orders(n * rows)
     least = np.full(n * rows, np.uint64((1 << 64) - 1))
-    for at in range(0, len(shingles), 4096):
-        x = (shingles[at : at + 4096, None] ^ flip) * (odd | np.uint64(1))
+    for at in range(0, len(shingles), 1024):
+        x = (shingles[at : at + 1024, None] ^ flip) * odd
         least = np.minimum(least, (x ^ (x >> np.uint64(32))).min(axis=0))
     return np.array([xxhash.xxh64_intdigest(part.tobytes(), i) for i, part in enumerate(least.reshape(n, rows))], np.uint64).view(np.int64)
 
 
-def alike(x: bytes, y: bytes, level: float = LEVEL) -> bool:
-    """Of two sorted sets of 64-bit hashes."""
-    a, b = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-    common = len(a) + len(b) - len(np.union1d(a, b))
-    return common >= level * (len(a) + len(b) - common) - 1e-9
-
-
 def shingle_sets(docs: DataFrame, width: int = WIDTH, seed: int = 42) -> DataFrame:
     """(doc_id, id, n, keys, shingles) for each row of docs: a hash of its set, the set's size, bands and members."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, found in texts(batches):
             sets = [np.unique(shingle_hashes(t, width, seed)) for t in found]
-            raw = [s.tobytes() for s in sets]
-            ids = np.array([xxhash.xxh64_intdigest(r) for r in raw], np.uint64).view(np.int64)
+            ids = np.array([xxhash.xxh64_intdigest(s.tobytes()) for s in sets], np.uint64).view(np.int64)
+            members = list_array(pa.array(np.concatenate(sets).view(np.int64)), np.array([len(s) for s in sets]))
             keys = [bands(s) for s in sets]
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(ids), pa.array([len(s) for s in sets], pa.int32()), pa.array(keys, pa.list_(pa.int64())), pa.array(raw, pa.binary())], names=["doc_id", "id", "n", "keys", "shingles"])
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(ids), pa.array([len(s) for s in sets], pa.int32()), pa.array(keys, pa.list_(pa.int64())), members], names=["doc_id", "id", "n", "keys", "shingles"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, id long, n int, keys array<long>, shingles binary")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, id long, n int, keys array<long>, shingles array<long>")
 
 
 def verified(pairs: DataFrame, sets: DataFrame, level: float = LEVEL) -> DataFrame:
     """Those of the pairs (a, b) that are similar. A set with many partners meets them in parts."""
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for part in slices(batch, "x"):
-                ok = [alike(x, y, level) for x, y in zip(part.column("x").to_pylist(), part.column("y").to_pylist(), strict=True)]
-                yield part.select(["a", "b"]).filter(pa.array(ok, pa.bool_()))
-
     wanted = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
     held = written(sets.join(wanted, "id", "left_semi").dropDuplicates(["id"]))
     salted = pairs.withColumn("salt", F.xxhash64("b") % SALTS)
     left = salted.select("a", "salt").distinct().join(held.select(F.col("id").alias("a"), F.col("shingles").alias("x")), "a")
     both = salted.join(left, ["a", "salt"]).join(held.select(F.col("id").alias("b"), F.col("shingles").alias("y")), "b")
-    return both.select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
+    counted = both.select("a", "b", F.size(F.array_intersect("x", "y")).alias("common"), (F.size("x") + F.size("y")).alias("of"))
+    return counted.where(F.col("common") >= level * (F.col("of") - F.col("common")) - 1e-9).select("a", "b")
 
 
 def similar(keyed: DataFrame, sets: DataFrame, level: float = LEVEL, leaders: int = LEADERS) -> DataFrame:

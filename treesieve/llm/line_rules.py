@@ -31,7 +31,7 @@ SYMBOLS, MIN_WORDS, MAX_REPEAT_SHARE = b"#*$%&|<>", 50, 0.5
 WHITE = b" \t\n\x0b\x0c\r"
 INSIDE = bytes(range(0x80, 0xC0))  # bytes of UTF-8 that don't begin a character
 MAX_SHARE, MIN_DOCS, MIN_LEFT = 0.10, 10, 0.5
-#: Up to so many boilerplate lines, they are broadcast; beyond, lines are joined by shuffle.
+#: Up to so many boilerplate lines, they are sent with the code; beyond, lines are joined by shuffle.
 BROADCAST_LINES = 50_000
 
 
@@ -122,9 +122,9 @@ def judged(docs: DataFrame, max_share: float = MAX_SHARE, min_docs: int = MIN_DO
     over = durable(boilerplate(docs, max_share, min_docs, most_docs))
     names = docs.columns
     if (over.agg(F.sum("n_lines")).first()[0] or 0) <= broadcast:
-        over = over.select(F.col("source").alias("_host"), F.col("lines").alias("_lines"))
-        joined = docs.join(F.broadcast(over), F.col("source").eqNullSafe(F.col("_host")), "left").drop("_host")
+        joined, every = docs, frozenset(x for r in over.select("lines").collect() for x in r["lines"])  # a hash stands for host and line
     else:  # a row meets its own lines only, not all of its host's
+        every = None
         rows = written(docs.withColumn("_row", F.monotonically_increasing_id()))
         own = line_rows(rows).join(over.select(F.explode("lines").alias("line")), "line").groupBy("_row").agg(F.collect_set("line").alias("_lines"))
         joined = rows.join(own, "_row", "left").drop("_row")
@@ -132,13 +132,14 @@ def judged(docs: DataFrame, max_share: float = MAX_SHARE, min_docs: int = MIN_DO
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, found in texts(batches):
             rows, left = [], []
-            for host, text, bad in zip(part.column("source").to_pylist(), found, part.column("_lines").to_pylist(), strict=True):
+            of_rows = [every] * len(found) if every is not None else [set(x or ()) for x in part.column("_lines").to_pylist()]
+            for host, text, bad in zip(part.column("source").to_pylist(), found, of_rows, strict=True):
                 row = shape(text)
                 removed, words = 0, row[0]
                 if bad:
-                    name, gone = b"\x00" if host is None else b"\x01" + host.encode(), set(bad)
+                    name = b"\x00" if host is None else b"\x01" + host.encode()
                     lines = text.split(b"\n")
-                    stay = [x for x in lines if not x.strip(WHITE) or line_hash(name, x) not in gone]
+                    stay = [x for x in lines if not x.strip(WHITE) or line_hash(name, x) not in bad]
                     removed = len(lines) - len(stay)
                     if removed:
                         text = b"\n".join(stay)
