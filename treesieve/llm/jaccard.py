@@ -3,7 +3,8 @@
 At 0.8, SimHash fingerprints of 64 bits differ in some 3 to 11 bits, more than a radius that can be
 indexed by wildcards. So candidates come from MinHash: ``BANDS`` keys a set, each of ``ROWS`` minima.
 Two sets of similarity s share a key with probability 1 - (1 - s^ROWS)^BANDS, that is all but 3 in a
-million at 0.8 and more above. What shares a key is verified by the shingles themselves.
+million at 0.8 and more above. What shares a key is verified by its shingles, as hashes of 32 bits: that
+one of n shingles meets one of m others by chance has probability n m / 2^32.
 
 A key's members are not compared in all pairs at once. In each round some members of a bucket lead:
 each is compared with all members that are not of its component yet, and leaves. Buckets whose
@@ -60,29 +61,31 @@ def shingle_sets(docs: DataFrame, width: int = WIDTH, seed: int = 42) -> DataFra
         for part, found in texts(batches):
             sets = [np.unique(shingle_hashes(t, width, seed)) for t in found]
             ids = np.array([xxhash.xxh64_intdigest(s.tobytes()) for s in sets], np.uint64).view(np.int64)
-            members = list_array(pa.array(np.concatenate(sets).view(np.int64)), np.array([len(s) for s in sets]))
+            narrow = [np.unique((s >> np.uint64(32)).astype(np.uint32)) for s in sets]
+            members = list_array(pa.array(np.concatenate(narrow).view(np.int32)), np.array([len(s) for s in narrow]))
             keys = [bands(s) for s in sets]
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(ids), pa.array([len(s) for s in sets], pa.int32()), pa.array(keys, pa.list_(pa.int64())), members], names=["doc_id", "id", "n", "keys", "shingles"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, id long, n int, keys array<long>, shingles array<long>")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, id long, n int, keys array<long>, shingles array<int>")
 
 
 def verified(pairs: DataFrame, sets: DataFrame, level: float = LEVEL) -> DataFrame:
     """Those of the pairs (a, b) that are similar. A set with many partners meets them in parts."""
 
-    wanted = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
-    held = written(sets.join(wanted, "id", "left_semi").dropDuplicates(["id"]))
     salted = pairs.withColumn("salt", F.xxhash64("b") % SALTS)
-    left = salted.select("a", "salt").distinct().join(held.select(F.col("id").alias("a"), F.col("shingles").alias("x")), "a")
-    both = salted.join(left, ["a", "salt"]).join(held.select(F.col("id").alias("b"), F.col("shingles").alias("y")), "b")
+    left = salted.select("a", "salt").distinct().join(sets.select(F.col("id").alias("a"), F.col("shingles").alias("x")), "a")
+    both = salted.join(left, ["a", "salt"]).join(sets.select(F.col("id").alias("b"), F.col("shingles").alias("y")), "b")
     counted = both.select("a", "b", F.size(F.array_intersect("x", "y")).alias("common"), (F.size("x") + F.size("y")).alias("of"))
     return counted.where(F.col("common") >= level * (F.col("of") - F.col("common")) - 1e-9).select("a", "b")
 
 
-def similar(keyed: DataFrame, sets: DataFrame, level: float = LEVEL, leaders: int = LEADERS) -> DataFrame:
-    """(node, root): components of the links between the sets that share a key. keyed (key, id, n), distinct."""
+def similar(keyed: DataFrame, one: DataFrame, each: DataFrame, level: float = LEVEL, leaders: int = LEADERS) -> DataFrame:
+    """(node, root): components of the links between the sets that share a key. keyed (key, id, n), distinct;
+    one (id, row) names the row of each (row, shingles) that has a set."""
     shared = written(keyed.groupBy("key").agg(F.count("*").alias("_n")).where("_n > 1").select("key"))
     rest = written(keyed.join(shared, "key", "left_semi"))
+    of = rest.select("id").distinct().join(one.select("id", "row"), "id")
+    sets = written(each.select("row", "shingles").join(of, "row").select("id", "shingles"))
     links = tested = roots = None
     while not rest.isEmpty():
         lead = written(rest.groupBy("key", (F.xxhash64("id") % leaders).alias("turn")).agg(F.min(F.struct("id", "n", "root") if roots else F.struct("id", "n")).alias("lead")))
@@ -104,9 +107,9 @@ def similar(keyed: DataFrame, sets: DataFrame, level: float = LEVEL, leaders: in
 
 def classes(docs: DataFrame, width: int = WIDTH, level: float = LEVEL) -> DataFrame:
     """(doc_id, component_id) for each row of docs."""
-    each = written(shingle_sets(docs, width))
-    one = written(each.groupBy("id").agg(F.min("doc_id").alias("least"), F.first("n").alias("n"), F.first("keys").alias("keys")))
-    roots = similar(one.select(F.explode("keys").alias("key"), "id", "n").distinct(), each.select("id", "shingles"), level)
+    each = written(shingle_sets(docs, width).withColumn("row", F.monotonically_increasing_id()))
+    one = written(each.groupBy("id").agg(F.min("doc_id").alias("least"), F.first("n").alias("n"), F.first("keys").alias("keys"), F.min("row").alias("row")))
+    roots = similar(one.select(F.explode("keys").alias("key"), "id", "n").distinct(), one, each, level)
     of = written(one.join(roots, one.id == roots.node, "left").select("id", "least", F.coalesce("root", "id").alias("root")))
     low = of.groupBy("root").agg(F.min("least").alias("component_id"))
     named = of.join(low, "root").select("id", "component_id")
