@@ -5,11 +5,13 @@ class of ``labels.quality`` has a mean and a covariance, drawn towards its own d
 covariance that the classes share; the score is the logistic of the difference of the two
 log-densities and log-priors, by Mahalanobis distances through Cholesky factors that are computed
 once on the driver and sent with the code. All labelled training rows count: sums, products and
-numbers of rows are added up by Spark, and one row for each class comes to the driver.
+numbers of rows are added up in each task and then by Spark, and a fixed number of sums comes to the driver.
 
 Results: a null text is scored like the empty text; rows with a null label or a null id don't train,
 and a null id is not held out; a document labelled twice counts twice; without rows of both classes
-every score is the share of label 1 (0.5 without any); repeated rows get equal scores.
+every score is the share of label 1 (0.5 without any); repeated rows get equal scores, whatever their
+order; a text of any length is read whole, by one task; an empty table gives an empty table; further
+columns are not read, whatever their names.
 """
 
 from __future__ import annotations
@@ -23,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import durable, remainder, table, texts
+from .common import remainder, table, texts, written
 from .line_rules import INSIDE, SYMBOLS, WHITE
 
 FOLDS, HELD_OUT, THRESHOLD = 5, 0, 0.3
@@ -38,11 +40,11 @@ NEITHER = bytes(b for b in range(33, 127) if not chr(b).isalnum() and b not in S
 
 def statistics(text: bytes) -> list[float]:
     words = text.split()
-    n = len(words)
+    n, times = len(words), Counter(words)
+    del words
     count = lambda some: len(text) - len(text.translate(None, some))
     chars = max(1, len(text.translate(None, WHITE + INSIDE)))
     lines = [x for x in text.split(b"\n") if x.strip(WHITE)]
-    times = Counter(words)
     share = lambda k, of, own=0: ((k + own) / (of + SMOOTH)) ** 0.5
     ends = sum(k for w, k in times.items() if w[-1:] in b"#*$%&|<>!")
     return [
@@ -80,24 +82,36 @@ class Model:
         return 1 / (1 + np.exp(-gap))
 
 
+def moments(labelled: DataFrame) -> tuple[list[int], list[np.ndarray], list[np.ndarray]]:
+    """labelled: (x, label), label 0 or 1. Of each class the number of rows, and the sums of x and of its products;
+    each task adds up its rows, and a row for each class and task goes on."""
+    d = len(FEATURES)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros((2, 1 + d + d * d))
+        for batch in batches:
+            x = batch.column("x").flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
+            label = batch.column("label").to_numpy(zero_copy_only=False)
+            for k in range(2):
+                own = x[label == k]
+                total[k] += np.concatenate([[len(own)], own.sum(axis=0), (own.T @ own).ravel()])
+        at = np.arange(total.size)
+        yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total.ravel())], names=["i", "s"])
+
+    got = labelled.select("x", "label").mapInArrow(run, "i long, s double").groupBy("i").agg(F.sum("s").alias("s")).toArrow()
+    sums = np.zeros((2, 1 + d + d * d))
+    sums.ravel()[got.column("i").to_numpy()] = got.column("s").to_numpy()
+    return [int(k) for k in sums[:, 0]], [r[1 : 1 + d] for r in sums], [r[1 + d :].reshape(d, d) for r in sums]
+
+
 def fit(labelled: DataFrame, shrink: float = SHRINK, pool: float = POOL) -> Model:
     """labelled: (x, label), label 0 or 1."""
     d = len(FEATURES)
-    xs = [F.col("x")[i] for i in range(d)]
-    sums = [F.sum(x).alias(f"s{i}") for i, x in enumerate(xs)] + [F.sum(xs[i] * xs[j]).alias(f"p{i}_{j}") for i in range(d) for j in range(i, d)]
-    got = {r["label"]: r for r in labelled.groupBy("label").agg(F.count("*").alias("n"), *sums).collect() if r["label"] in (0, 1)}
-    n = [got[k]["n"] if k in got else 0 for k in range(2)]
+    n, sums, products = moments(labelled)
     if min(n) < 2:
         return Model(prior=n[1] / sum(n) if sum(n) else 0.5)
-    means, scatter = [], []
-    for k in range(2):
-        m = np.array([got[k][f"s{i}"] for i in range(d)]) / n[k]
-        p = np.zeros((d, d))
-        for i in range(d):
-            for j in range(i, d):
-                p[i, j] = p[j, i] = got[k][f"p{i}_{j}"] / n[k]
-        means.append(m)
-        scatter.append(p - np.outer(m, m))
+    means = [sums[k] / n[k] for k in range(2)]
+    scatter = [products[k] / n[k] - np.outer(means[k], means[k]) for k in range(2)]
     shared = (n[0] * scatter[0] + n[1] * scatter[1]) / sum(n)
     factors, logdet = [], []
     for c in scatter:
@@ -121,7 +135,7 @@ def scored(feats: DataFrame, model: Model) -> DataFrame:
 
 def quality(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """(doc_id, held_out, score, predicted) for each row of docs."""
-    feats = durable(features(docs))
+    feats = written(features(docs))
     own = labels.select(F.col("doc_id").cast("long").alias("_id"), F.col("quality").cast("int").alias("label")).where(F.col("label").isin(0, 1))
     train = feats.where(~remainder(F.col("doc_id"), FOLDS).isin(HELD_OUT, -1)).join(own, F.col("doc_id") == F.col("_id"))
     done = scored(feats, fit(train))
