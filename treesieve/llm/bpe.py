@@ -35,6 +35,8 @@ WORD = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N
 #: White space other than the space and the line feed, and where a text may be cut apart.
 EDGES = frozenset(chr(c) for c in range(0x3001) if chr(c).isspace()) - {" ", "\n"}
 BETWEEN = re.compile(r"(?<=\S) (?=\S)")
+#: ASCII characters that are no letters, numbers, spaces or apostrophes: side by side they are one word.
+MARKS = "".join(chr(c) for c in range(33, 127) if not chr(c).isalnum() and c != 39)
 #: Beyond these characters, Unicode tables of different ages disagree on letters and numbers; the
 #: tokenizer's own splitter is asked there.
 YOUNG = re.compile("[԰-‏‿-\U0010ffff]")
@@ -101,12 +103,7 @@ class Trie:
         self.out = [int(by_piece[p]).to_bytes(4, "little") for p in pieces]
         self.special = {t["content"]: int(t["id"]) for t in spec.get("added_tokens", ())}
         self.split_special = re.compile("|".join(re.escape(s) for s in sorted(self.special, key=len, reverse=True)) or r"(?!)")
-        self.ends = {p: i for p, i in self.number.items() if len(p) == 2}
-        ends: dict[bytes, set[int]] = {}
-        for p in pieces:
-            if len(p) > 2:
-                ends.setdefault(p[-3:], set()).add(len(p))
-        self.long_ends = {tail: tuple(sorted(n, reverse=True)) for tail, n in ends.items()}
+        self._automaton(pieces)
         self.own_splitter = None
         self.path = path
         self.chunks, self.words, self.stable = Recent(max_words), Recent(max_words), {}
@@ -139,46 +136,83 @@ class Trie:
             else:
                 before, b = b + 1, self.left[b]
 
+    def _automaton(self, pieces: list[bytes]) -> None:
+        """States are the prefixes of pieces, by number. Of a state: what it leads to by a byte (``step``, at
+        state << 8 | byte, filled in as it is met), the state of its longest proper suffix, and the pieces of two
+        bytes or more that end there, longest first, as (piece, size)."""
+        self.step: dict[int, int] = {}
+        kids: list[dict[int, int]] = [{}]
+        own: list[tuple[int, int] | None] = [None]
+        for i, p in enumerate(pieces):
+            at = 0
+            for byte in p:
+                to = kids[at].get(byte)
+                if to is None:
+                    to = kids[at][byte] = len(kids)
+                    kids.append({})
+                    own.append(None)
+                at = to
+            if len(p) > 1:
+                own[at] = (i, len(p))
+        self.kids, self.fail, self.ending = kids, [0] * len(kids), [()] * len(kids)
+        row = list(kids[0].values())
+        for byte, to in kids[0].items():
+            self.step[byte] = to
+        while row:
+            following = []
+            for at in row:
+                back = self.fail[at]
+                self.ending[at] = (own[at], *self.ending[back]) if own[at] else self.ending[back]
+                for byte, to in kids[at].items():
+                    self.fail[to] = self._follow(back, byte)
+                    following.append(to)
+            row = following
+
+    def _follow(self, at: int, byte: int) -> int:
+        while byte not in self.kids[at]:
+            if not at:
+                return 0
+            at = self.fail[at]
+        return self.kids[at][byte]
+
     def insert(self, words: list[str]) -> None:
         """Encodes new words. Sorted, they are the leaves of their trie in depth-first order, of which
-        only the path to the present word is held: at each depth the last token of the prefix and
-        the depth at which that token begins. A word keeps the states that it shares with the one
-        before it."""
-        number, ends, long_ends, out, stable, known = self.number, self.ends, self.long_ends, self.out, self.stable, self.words.new
-        last, begin, before = [-1], [0], b""
-        for data, word in sorted((w.encode(), w) for w in words):
+        only the path to the present word is held: at each depth the last token of the prefix, the
+        depth at which that token begins, and the automaton's state, which knows the pieces that end
+        there. A word keeps the states that it shares with the one before it."""
+        step, ending, out, stable, known, follow, is_stable = self.step, self.ending, self.out, self.stable, self.words.new, self._follow, self.is_stable
+        last, begin, states, before = [-1], [0], [0], b""
+        for data, word in sorted([(w.encode(), w) for w in words]):
             size, shared = len(data), 0
             most = min(len(before), size)
-            while shared < most and data[shared] == before[shared]:
-                shared += 1
-            del last[shared + 1 :], begin[shared + 1 :]
-            for i in range(shared + 1, size + 1):
-                token, at = data[i - 1], i - 1
-                if i > 1:
-                    for n in long_ends.get(data[i - 3 : i], ()) if i > 2 else ():
-                        if n <= i and (t := number.get(data[i - n : i])) is not None:
-                            if n == i:
-                                token, at = t, 0
-                                break
-                            pair = last[i - n] << 20 | t
-                            if (ok := stable.get(pair)) is None:
-                                ok = stable[pair] = self.is_stable(last[i - n], t)
-                            if ok:
-                                token, at = t, i - n
-                                break
-                    else:
-                        t = ends.get(data[i - 2 : i])
-                        if t is not None:
-                            if i == 2:
-                                token, at = t, 0
-                            else:
-                                pair = last[i - 2] << 20 | t
-                                if (ok := stable.get(pair)) is None:
-                                    ok = stable[pair] = self.is_stable(last[i - 2], t)
-                                if ok:
-                                    token, at = t, i - 2
+            if data[:most] == before[:most]:
+                shared = most
+            else:
+                while data[shared] == before[shared]:
+                    shared += 1
+            del last[shared + 1 :], begin[shared + 1 :], states[shared + 1 :]
+            state, i = states[shared], shared
+            for byte in data[shared:]:
+                edge = state << 8 | byte
+                state = step.get(edge, -1)
+                if state < 0:
+                    state = step[edge] = follow(edge >> 8, byte)
+                i += 1
+                token, at = byte, i - 1
+                for t, n in ending[state]:
+                    if n == i:
+                        token, at = t, 0
+                        break
+                    pair = last[i - n] << 20 | t
+                    ok = stable.get(pair)
+                    if ok is None:
+                        ok = stable[pair] = is_stable(last[i - n], t)
+                    if ok:
+                        token, at = t, i - n
+                        break
                 last.append(token)
                 begin.append(at)
+                states.append(state)
             ids, at = [], size
             while at:
                 ids.append(out[last[at]])
@@ -188,6 +222,12 @@ class Trie:
             before = data
 
     def split(self, text: str) -> list[str]:
+        """Words of a chunk that begins with a space, if any; those of letters alone, or of these and marks behind
+        them, are most and need no pattern."""
+        if text.isascii():
+            core = text[1:].rstrip(MARKS)
+            if core.isalpha() and text[0] == " ":
+                return [text] if len(core) + 1 == len(text) else [text[: len(core) + 1], text[len(core) + 1 :]]
         if YOUNG.search(text) is None:
             return WORD.findall(text)
         if self.own_splitter is None:
@@ -210,6 +250,8 @@ class Trie:
         split = [self.split(c[1:] if c[:1] == " " else " " + c) for c in chunks]
         if len(self.stable) > 300_000:
             self.stable.clear()
+        if len(self.step) > 1_000_000:
+            self.step.clear()
         self.insert(self.words.lacking(set().union(*split)))
         words = self.words.new
         self.chunks.new.update((c, b"".join([words[p] for p in pieces])) for c, pieces in zip(chunks, split, strict=True))
