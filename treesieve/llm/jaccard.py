@@ -1,10 +1,13 @@
 """Near copies: texts whose sets of word shingles have a Jaccard similarity of at least ``LEVEL``.
 
-At 0.8, SimHash fingerprints of 64 bits differ in some 3 to 11 bits, more than a radius that can be
-indexed by wildcards. So candidates come from MinHash: ``BANDS`` keys a set, each of ``ROWS`` minima.
-Two sets of similarity s share a key with probability 1 - (1 - s^ROWS)^BANDS, that is all but 3 in a
-million at 0.8 and more above. What shares a key is verified by its shingles, as hashes of 32 bits: that
-one of n shingles meets one of m others by chance has probability n m / 2^32.
+The first links are those of SimHash fingerprints over the same shingles, by the deletion variants of
+``simhash``; each is verified by the shingles. At a similarity of 0.8, fingerprints of 64 bits differ
+in some 3 to 11 bits, more than a radius that can be indexed by wildcards. The links beyond it
+come from MinHash: ``BANDS`` keys a set, each of ``ROWS`` minima. Two sets of similarity s share a key with
+probability 1 - (1 - s^ROWS)^BANDS, that is all but 3 in a million at 0.8 and more above. What shares a key
+is compared in its minima first, a byte of each: fewer than ``ALIKE`` of 96 agree at 0.8 with a probability
+of 1 in 50,000. The rest is verified by its shingles, as hashes of 32 bits: that one of n shingles
+meets one of m others by chance has probability n m / 2^32.
 
 A key's members are not compared in all pairs at once. In each round some members of a bucket lead:
 each is compared with all members that are not of its component yet, and leaves. Buckets whose
@@ -14,7 +17,8 @@ round to round; rounds end when no bucket has two components left.
 
 Results: equal sets of shingles are one row throughout; a text without words has the empty set and
 is a copy of its like; fewer than ``width`` words are one shingle; a component's id is the smallest
-doc_id in it (null only if all are null); an empty table gives an empty table.
+doc_id in it (null only if all are null); a text of any length is hashed whole, by one task; further
+columns are not read; an empty table gives an empty table.
 """
 
 from __future__ import annotations
@@ -29,9 +33,9 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import components, durable, list_array, texts, written
-from .simhash import shingle_hashes
+from .simhash import links, majority, shingle_hashes
 
-WIDTH, LEVEL, BANDS, ROWS = 5, 0.8, 24, 4
+WIDTH, LEVEL, BANDS, ROWS, ALIKE = 5, 0.8, 24, 4, 60
 #: Leaders of a bucket in the first round, the factor by which they grow, parts of a member's comparisons in a join.
 LEADERS, GROWTH, SALTS = 1, 8, 64
 
@@ -42,31 +46,53 @@ def orders(n: int) -> tuple[np.ndarray, np.ndarray]:
     return odd | np.uint64(1), flip
 
 
-def bands(shingles: np.ndarray, n: int = BANDS, rows: int = ROWS) -> np.ndarray:
-    """Keys of a set of hashes; none of the empty set."""
-    if not len(shingles):
-        return np.empty(0, np.int64)
+def minima(shingles: np.ndarray, n: int = BANDS, rows: int = ROWS) -> np.ndarray:
+    """The least of each of n * rows hashes of a set's members."""
     odd, flip = orders(n * rows)
     least = np.full(n * rows, np.uint64((1 << 64) - 1))
     for at in range(0, len(shingles), 1024):
         x = (shingles[at : at + 1024, None] ^ flip) * odd
         least = np.minimum(least, (x ^ (x >> np.uint64(32))).min(axis=0))
-    return np.array([xxhash.xxh64_intdigest(part.tobytes(), i) for i, part in enumerate(least.reshape(n, rows))], np.uint64).view(np.int64)
+    return least
+
+
+def bands(least: np.ndarray, n: int = BANDS) -> np.ndarray:
+    """Keys of a set by its minima."""
+    return np.array([xxhash.xxh64_intdigest(part.tobytes(), i) for i, part in enumerate(least.reshape(n, -1))], np.uint64).view(np.int64)
 
 
 def shingle_sets(docs: DataFrame, width: int = WIDTH, seed: int = 42) -> DataFrame:
-    """(doc_id, id, n, keys, shingles) for each row of docs: a hash of its set, the set's size, bands and members."""
+    """(doc_id, id, n, fp, keys, sketch, shingles) for each row of docs: a hash of its set, the set's size, the
+    fingerprint of its shingles, bands (none of the empty set), a byte of each minimum, and members."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part, found in texts(batches):
-            sets = [np.unique(shingle_hashes(t, width, seed)) for t in found]
+        for part, found in texts(batches, rows=256):
+            every = [shingle_hashes(t, width, seed) for t in found]
+            fps = np.array([majority(h) for h in every], np.uint64).view(np.int64)
+            sets = [np.unique(h) for h in every]
             ids = np.array([xxhash.xxh64_intdigest(s.tobytes()) for s in sets], np.uint64).view(np.int64)
+            least = [minima(s) for s in sets]
             narrow = [np.unique((s >> np.uint64(32)).astype(np.uint32)) for s in sets]
             members = list_array(pa.array(np.concatenate(narrow).view(np.int32)), np.array([len(s) for s in narrow]))
-            keys = [bands(s) for s in sets]
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(ids), pa.array([len(s) for s in sets], pa.int32()), pa.array(keys, pa.list_(pa.int64())), members], names=["doc_id", "id", "n", "keys", "shingles"])
+            keys = list_array(pa.array(np.concatenate([bands(x) if len(s) else np.empty(0, np.int64) for x, s in zip(least, sets, strict=True)])), np.array([BANDS if len(s) else 0 for s in sets]))
+            sketch = pa.array([x.astype(np.uint8).tobytes() for x in least], pa.binary())
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(ids), pa.array([len(s) for s in sets], pa.int32()), pa.array(fps), keys, sketch, members], names=["doc_id", "id", "n", "fp", "keys", "sketch", "shingles"])
+
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, id long, n int, fp long, keys array<long>, sketch binary, shingles array<int>")
+
+
+def alike(pairs: DataFrame, one: DataFrame, least: int = ALIKE) -> DataFrame:
+    """Those of the pairs (a, b) whose minima agree often enough."""
+    sketches = one.select("id", "sketch")
+    both = pairs.join(sketches.withColumnsRenamed({"id": "a", "sketch": "x"}), "a").join(sketches.withColumnsRenamed({"id": "b", "sketch": "y"}), "b")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint8).reshape(batch.num_rows, -1) for c in ("x", "y"))
+            ok = pa.array((x == y).sum(axis=1) >= least)
+            yield pa.RecordBatch.from_arrays([batch.column(c).filter(ok) for c in ("a", "b")], names=["a", "b"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, id long, n int, keys array<long>, shingles array<int>")
+    return both.select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
 
 
 def verified(pairs: DataFrame, sets: DataFrame, level: float = LEVEL) -> DataFrame:
@@ -80,35 +106,45 @@ def verified(pairs: DataFrame, sets: DataFrame, level: float = LEVEL) -> DataFra
 
 
 def similar(keyed: DataFrame, one: DataFrame, each: DataFrame, level: float = LEVEL, leaders: int = LEADERS) -> DataFrame:
-    """(node, root): components of the links between the sets that share a key. keyed (key, id, n), distinct;
-    one (id, row) names the row of each (row, shingles) that has a set."""
+    """(node, root): components of the links between the sets of ``one`` (id, fp, sketch, row), whose fingerprints link or
+    that share a key. keyed (key, id, n), distinct; row names the row of each (row, shingles) that has a set."""
+
+    def check(pairs: DataFrame) -> DataFrame:
+        pairs = written(pairs)
+        needed = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct().join(one.select("id", "row"), "id")
+        return durable(verified(pairs, each.select("row", "shingles").join(needed, "row").select("id", "shingles"), level))
+
+    # one set stands for a fingerprint; the others that have it are linked to it
+    of = written(one.groupBy("fp").agg(F.min("id").alias("first"), F.count("*").alias("sets")))
+    near = links(of.select("fp")).toDF("u", "v")
+    firsts = of.select("fp", "first")
+    near = near.join(firsts.toDF("u", "a"), "u").join(firsts.toDF("v", "b"), "v").select("a", "b")
+    same = one.join(of.where("sets > 1"), "fp").where("id <> first").select(F.col("first").alias("a"), F.col("id").alias("b"))
+    pairs = near.union(same).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    found = check(pairs)
+    tested, roots = written(pairs), durable(components(found))
+
     shared = written(keyed.groupBy("key").agg(F.count("*").alias("_n")).where("_n > 1").select("key"))
-    rest = written(keyed.join(shared, "key", "left_semi"))
-    of = rest.select("id").distinct().join(one.select("id", "row"), "id")
-    sets = written(each.select("row", "shingles").join(of, "row").select("id", "shingles"))
-    links = tested = roots = None
-    while not rest.isEmpty():
-        lead = written(rest.groupBy("key", (F.xxhash64("id") % leaders).alias("turn")).agg(F.min(F.struct("id", "n", "root") if roots else F.struct("id", "n")).alias("lead")))
-        met = rest.join(lead.select("key", "lead"), "key").where("id <> lead.id").where(F.least("n", "lead.n") >= level * F.greatest("n", "lead.n") - 1e-9)
-        if roots:
-            met = met.where("root <> lead.root")
-        pairs = met.select(F.least("id", "lead.id").alias("a"), F.greatest("id", "lead.id").alias("b")).distinct()
-        pairs = written(pairs.join(tested, ["a", "b"], "left_anti") if tested else pairs)
-        new = durable(verified(pairs, sets, level))
-        links, tested = (links.union(new), tested.union(pairs)) if tested else (new, pairs)
-        roots = durable(components(links))
-        # leaders have met all; of the others, those stay whose bucket has several components
-        left = rest.select("key", "id", "n").join(lead.select("key", F.col("lead.id").alias("id")), ["key", "id"], "left_anti")
+    left = keyed.join(shared, "key", "left_semi")
+    while True:
         named = written(left.join(roots, left.id == roots.node, "left").select("key", "id", "n", F.coalesce("root", "id").alias("root")))
         several = named.groupBy("key").agg(F.min("root").alias("_a"), F.max("root").alias("_b")).where("_a <> _b").select("key")
-        rest, leaders = written(named.join(several, "key", "left_semi")), leaders * GROWTH
-    return roots if roots else rest.select(F.col("id").alias("node"), F.col("id").alias("root"))
+        rest = written(named.join(several, "key", "left_semi"))
+        if rest.isEmpty():
+            return roots
+        lead = written(rest.groupBy("key", (F.xxhash64("id") % leaders).alias("turn")).agg(F.min(F.struct("id", "n", "root")).alias("lead")))
+        met = rest.join(lead.select("key", "lead"), "key").where("root <> lead.root").where(F.least("n", "lead.n") >= level * F.greatest("n", "lead.n") - 1e-9)
+        pairs = written(met.select(F.least("id", "lead.id").alias("a"), F.greatest("id", "lead.id").alias("b")).distinct().join(tested, ["a", "b"], "left_anti"))
+        found = found.union(check(alike(pairs, one)))
+        tested, roots, leaders = tested.union(pairs), durable(components(found)), leaders * GROWTH
+        # leaders have met all; of the others, those stay whose bucket has several components
+        left = rest.select("key", "id", "n").join(lead.select("key", F.col("lead.id").alias("id")), ["key", "id"], "left_anti")
 
 
 def classes(docs: DataFrame, width: int = WIDTH, level: float = LEVEL) -> DataFrame:
     """(doc_id, component_id) for each row of docs."""
     each = written(shingle_sets(docs, width).withColumn("row", F.monotonically_increasing_id()))
-    one = written(each.groupBy("id").agg(F.min("doc_id").alias("least"), F.first("n").alias("n"), F.first("keys").alias("keys"), F.min("row").alias("row")))
+    one = written(each.groupBy("id").agg(F.min("doc_id").alias("least"), *(F.first(c).alias(c) for c in ("n", "fp", "keys", "sketch")), F.min("row").alias("row")))
     roots = similar(one.select(F.explode("keys").alias("key"), "id", "n").distinct(), one, each, level)
     of = written(one.join(roots, one.id == roots.node, "left").select("id", "least", F.coalesce("root", "id").alias("root")))
     low = of.groupBy("root").agg(F.min("least").alias("component_id"))
