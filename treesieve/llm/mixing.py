@@ -1,8 +1,10 @@
 """Mixing documents to target weights with soft memberships, in DataFrame functions alone.
 
 The domains are what the table ``labels`` tells apart: ``toxic``, ``low`` (quality 0) and ``clean``.
-Naive Bayes over hashed words, fitted on a bounded number of labelled rows a domain
-(``ROWS_A_DOMAIN``, by hash of the id), gives each document a posterior. Rates are then fitted to
+Naive Bayes over the distinct hashed words of a text gives each document a posterior. It is fitted on a
+bounded number of labelled rows a domain (about ``ROWS_A_DOMAIN``, by hash of the id); a word is evidence
+only where its frequencies in two domains differ by ``SURE`` standard errors, as the sum of many words
+that happen to differ would outweigh all others in long texts. Rates are then fitted to
 all documents: with r the rate, t the tokens and p the posterior of a document, the expected tokens
 of domain k are S_k = sum(r t p_k), and projected gradient steps bring S to the targets T in least
 squares, r <- min(max_rate, max(0, r - p . g)), where g is the residual S - T in the metric of the
@@ -12,7 +14,7 @@ posterior and the steps so far.
 
 A target weight is a share of the mix's tokens. Unless a total is given, it is the one at which the
 domain of the largest weight is kept whole. A domain that has less than its target, at the largest
-rate, is asked for what it has. A row is kept ``copies`` times: its rate rounded up or down by a
+rate, is asked for what it has; ``reached`` tells by how much a domain falls short. A row is kept ``copies`` times: its rate rounded up or down by a
 hash of its id.
 
 Results: a null or empty text has no tokens and the prior as its posterior; a labelled row whose
@@ -32,7 +34,8 @@ from .common import durable, table, words_of
 
 DOMAINS = ("clean", "low", "toxic")
 TARGETS = {"clean": 0.98, "low": 0.01, "toxic": 0.01}
-ROWS_A_DOMAIN, BUCKETS, STEPS, CLOSE = 2000, 1 << 14, 12, 1e-3
+ROWS_A_DOMAIN, BUCKETS, SURE, STEPS, CLOSE = 20_000, 1 << 16, 8.0, 12, 1e-3
+MAX_RATE = 4.0  # of the query: a domain may be repeated so often to reach its target
 
 
 def unit(doc_id: Column, salt: int) -> Column:
@@ -46,7 +49,8 @@ def domain(labels: DataFrame) -> DataFrame:
 
 
 def word_evidence(docs: DataFrame, labels: DataFrame, rows: int = ROWS_A_DOMAIN) -> tuple[list[float], np.ndarray]:
-    """Log-priors of the domains, and of each bucket of words the log-likelihoods, domain by bucket."""
+    """Log-priors of the domains, and what a word of each bucket is evidence for a domain against the first, domain by
+    bucket; three numbers a bucket are collected."""
     named = domain(labels)
     sizes = {r["domain"]: r["n"] for r in named.groupBy("domain").agg(F.count("*").alias("n")).collect()}
     total = sum(sizes.values())
@@ -54,13 +58,19 @@ def word_evidence(docs: DataFrame, labels: DataFrame, rows: int = ROWS_A_DOMAIN)
     if total:
         share = F.coalesce(*[F.when(F.col("domain") == d, F.lit(min(1.0, rows / n))) for d, n in sizes.items()])
         sample = named.where(unit(F.col("_id"), 11) < share)
-        words = docs.join(F.broadcast(sample) if sum(min(n, 2 * rows) for n in sizes.values()) <= 2 * rows * len(DOMAINS) else sample, F.col("doc_id") == F.col("_id"))
+        # an id that is labelled again and again is sampled whole, so the sample is counted before it is broadcast
+        small = sample.limit(2 * rows * len(DOMAINS) + 1).count() <= 2 * rows * len(DOMAINS)
+        words = docs.select("doc_id", "text").join(F.broadcast(sample) if small else sample, F.col("doc_id") == F.col("_id"))
         found = words.select("domain", F.explode(words_of(F.col("text"))).alias("w")).groupBy("domain", bucket(F.col("w")).alias("b")).agg(F.count("*").alias("n"))
         for r in found.collect():
             counts[DOMAINS.index(r["domain"]), r["b"]] = r["n"]
     priors = [np.log(sizes.get(d, 0) / total) if sizes.get(d) else -1e9 for d in DOMAINS] if total else [0.0, -1e9, -1e9]
     smooth = counts + 0.5
-    return priors, np.log(smooth / smooth.sum(axis=1, keepdims=True))
+    ratio = np.log(smooth / smooth.sum(axis=1, keepdims=True))
+    ratio = ratio - ratio[0]
+    n = counts.sum(axis=1, keepdims=True)
+    apart = np.abs(counts * n[0] - counts[0] * n)  # of equal frequencies, this is 0 on average
+    return priors, np.where(apart > SURE * np.sqrt(n[0] * n * (counts + counts[0])), ratio, 0.0)
 
 
 def bucket(word: Column) -> Column:
@@ -79,7 +89,7 @@ def memberships(docs: DataFrame, evidence: tuple[list[float], np.ndarray]) -> Da
         return F.struct(*[(state[f"g{k}"] + F.element_at(a, at)).alias(f"g{k}") for k, a in enumerate(arrays)])
 
     words = words_of(F.col("text"))
-    seen = docs.withColumn("_s", F.struct(F.size(words).cast("long").alias("n"), F.aggregate(words, zero, add).alias("g")))
+    seen = docs.withColumn("_s", F.struct(F.size(words).cast("long").alias("n"), F.aggregate(F.array_distinct(words), zero, add).alias("g")))
     odds = [F.lit(float(priors[0]))] + [F.lit(float(priors[k + 1])) + F.col("_s")["g"][f"g{k}"] for k in range(len(gains))]
     top = F.greatest(*odds)
     each = [F.exp(F.greatest(o - top, F.lit(-700.0))) for o in odds]
@@ -129,6 +139,14 @@ def fit_rates(members: DataFrame, targets: dict[str, float] = TARGETS, total: fl
     return done
 
 
+def reached(mix: DataFrame, targets: dict[str, float] = TARGETS) -> DataFrame:
+    """(domain, target, share, expected_tokens) of a mix: the share of its expected tokens that a domain has, beside its
+    target; lower where the domain has too few at the largest rate."""
+    sums = mix.agg(*[F.sum(F.col("rate") * F.col("n_tokens") * F.col(f"p_{d}")).alias(d) for d in DOMAINS])
+    whole = F.expr(" + ".join(DOMAINS))
+    return sums.select(F.inline(F.array(*[F.struct(F.lit(d).alias("domain"), F.lit(float(targets.get(d, 0.0))).alias("target"), (F.col(d) / whole).alias("share"), F.col(d).alias("expected_tokens")) for d in DOMAINS])))
+
+
 def mixed(docs: DataFrame, labels: DataFrame, targets: dict[str, float] = TARGETS, total: float | None = None, max_rate: float = 1.0) -> DataFrame:
     """(doc_id, n_tokens, p_*, rate, copies) for each row of docs."""
     docs = docs.select("doc_id", "text")
@@ -138,7 +156,7 @@ def mixed(docs: DataFrame, labels: DataFrame, targets: dict[str, float] = TARGET
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixed(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+    return mixed(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), max_rate=MAX_RATE)
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
