@@ -11,7 +11,8 @@ two writers one commits and the other starts again from the newer manifest. File
 knows (of a writer or executor that was lost) are not read, and ``vacuum`` removes them.
 
 Results: rows and columns come back as they were, nulls, repeated rows and any further columns
-included; shards hold rows in no stated order; an empty arrival commits a version without shards.
+included; where arrivals have different columns, a row has nulls in those that its arrival lacked, and a
+column that comes in another type is refused; shards hold rows in no stated order; an empty arrival commits a version without shards.
 """
 
 from __future__ import annotations
@@ -25,13 +26,27 @@ from pyspark.sql import functions as F
 
 from .common import shared_dir, table
 
-TARGET_BYTES, BASE_BYTES, FANOUT, ARRIVALS = 128 << 20, 1 << 20, 4, 8
+TARGET_BYTES, BASE_BYTES, FANOUT, ARRIVALS, FILES = 128 << 20, 1 << 20, 4, 8, 32
 
 
 class Conflict(RuntimeError):
     """Another writer committed that version first."""
 
 
+def merged(old: str | None, new: str | None) -> str | None:
+    """The columns of two schemas (JSON): those of the old one, then those that only the new one has."""
+    if old is None or new is None:
+        return old or new
+    fields, out = json.loads(new)["fields"], json.loads(old)
+    known = {f["name"].lower(): f for f in out["fields"]}
+    for f in fields:
+        if f["name"].lower() not in known:
+            out["fields"].append(f | {"nullable": True})
+        elif known[f["name"].lower()]["type"] != f["type"]:
+            raise ValueError(f"column {f['name']} comes as {f['type']}, it is {known[f['name'].lower()]['type']}")
+    return json.dumps(out)
+
+
 class ShardStore:
     def __init__(self, spark: SparkSession, root: str, target: int = TARGET_BYTES, base: int = BASE_BYTES, fanout: int = FANOUT):
         self.spark, self.root, self.target, self.base, self.fanout = spark, root.rstrip("/"), target, base, fanout
@@ -62,7 +77,7 @@ class ShardStore:
             stream.close()
 
     def commit(self, before: dict, shards: list[dict], schema: str | None) -> dict:
-        after = {"version": before["version"] + 1, "schema": schema or before["schema"], "shards": sorted(shards, key=lambda s: s["path"])}
+        after = {"version": before["version"] + 1, "schema": merged(before["schema"], schema), "shards": sorted(shards, key=lambda s: s["path"])}
         draft, final = (self._path(f"{self.root}/manifests/{n}") for n in (f"draft-{uuid.uuid4().hex}", f"v{after['version']:012d}.json"))
         stream = self.fs.create(draft, False)
         try:
@@ -90,6 +105,7 @@ class ShardStore:
 
     def append(self, df: DataFrame, tries: int = 10) -> dict:
         """Adds the rows of df as a run of small shards."""
+        merged(self.manifest()["schema"], df.schema.json())  # refuses before anything is written
         new = self._write(df, f"t0-{uuid.uuid4().hex}")
         for _ in range(tries):
             before = self.manifest()
@@ -158,10 +174,13 @@ class ShardStore:
 
 
 def arrivals(docs: DataFrame, n: int = ARRIVALS) -> list[DataFrame]:
-    """The table as it might have come in: groups of its files."""
+    """The table as it might have come in: its files, at most ``FILES`` at once, so that their number grows with the
+    table; one of few files comes in ``n`` parts by hash of its rows."""
     files = sorted(docs.inputFiles())
-    n = min(n, len(files))
-    return [docs.sparkSession.read.schema(docs.schema).parquet(*files[i::n]) for i in range(n)] or [docs]
+    if len(files) >= n:
+        return [docs.sparkSession.read.schema(docs.schema).parquet(*files[i : i + FILES]) for i in range(0, len(files), FILES)]
+    part = F.pmod(F.xxhash64("doc_id", F.length("text")), F.lit(n))
+    return [docs.where(part == i) for i in range(n)]
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
