@@ -11,7 +11,8 @@ built its two sides; taking these merges back, latest first, shows it.
 
 Results: a null text is the empty text with no ids; equal rows give equal rows; an id beyond the
 vocabulary raises on decoding; bytes that are not UTF-8 decode to U+FFFD. Word caches are bounded
-by ``max_words`` and start again when full.
+by ``max_words`` and start again when full; a text of any length is encoded whole, by one task; an
+empty table gives an empty table; the column that is added takes the place of one with its name.
 """
 
 from __future__ import annotations
@@ -83,7 +84,7 @@ class Recent:
 class Trie:
     """Encoder and decoder of one vocabulary. Inside, a byte is its own number and merge r is 256+r."""
 
-    def __init__(self, path: str, max_words: int = 100_000):
+    def __init__(self, path: str, max_words: int = 60_000):
         spec = json.load(open(path, encoding="utf-8"))
         by_char, vocab = printable_bytes(), spec["model"]["vocab"]
         raw = lambda s: bytes(by_char[c] for c in s)
@@ -155,6 +156,10 @@ class Trie:
             if len(p) > 1:
                 own[at] = (i, len(p))
         self.kids, self.fail, self.ending = kids, [0] * len(kids), [()] * len(kids)
+        none: dict[int, int] = {}
+        for at, some in enumerate(kids):
+            if not some:
+                kids[at] = none  # one for all that lead nowhere
         row = list(kids[0].values())
         for byte, to in kids[0].items():
             self.step[byte] = to
@@ -250,7 +255,7 @@ class Trie:
         split = [self.split(c[1:] if c[:1] == " " else " " + c) for c in chunks]
         if len(self.stable) > 300_000:
             self.stable.clear()
-        if len(self.step) > 1_000_000:
+        if len(self.step) > 300_000:
             self.step.clear()
         self.insert(self.words.lacking(set().union(*split)))
         words = self.words.new

@@ -53,6 +53,8 @@ def shared_dir(spark: SparkSession) -> str:
             sc.setCheckpointDir(at)
         return at
     if sc.getCheckpointDir() is None:
+        if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the cluster shares")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoints-"))
     return sc.getCheckpointDir()
 

@@ -10,7 +10,8 @@ rules look at the text as it came.
 
 Results: a null text has no words, so it fails the base rules; a null source is a host of its own;
 rows are documents, so a repeated row counts again; within one document a line counts once; a count
-equal to the limit is within it; an empty table gives an empty table.
+equal to the limit is within it; a text of any length is judged whole, by one task; an empty table
+gives an empty table.
 """
 
 from __future__ import annotations
@@ -106,27 +107,27 @@ def line_rows(rows: DataFrame) -> DataFrame:
 
 
 def boilerplate(docs: DataFrame, max_share: float = MAX_SHARE, min_docs: int = MIN_DOCS, most_docs: int | None = None) -> DataFrame:
-    """(source, lines): the hashes of the lines of a host that are above its limit."""
+    """(line): the hashes, each of host and line, of the lines that are above their host's limit."""
     counts = durable(line_counts(docs).where((F.col("n") > min_docs) | F.col("line").isNull()))
     hosts = counts.where("line is null").select(F.col("source").alias("host"), F.col("n").alias("docs"))
     limit = F.greatest(F.lit(float(min_docs)), F.lit(max_share) * F.col("docs"))
     if most_docs is not None:
         limit = F.least(limit, F.lit(float(max(min_docs, most_docs))))
-    over = counts.where("line is not null").join(hosts, F.col("source").eqNullSafe(F.col("host"))).where(F.col("n") > limit)
-    return over.groupBy("source").agg(F.collect_set("line").alias("lines"), F.count("*").alias("n_lines"))
+    return counts.where("line is not null").join(hosts, F.col("source").eqNullSafe(F.col("host"))).where(F.col("n") > limit).select("line").distinct()
 
 
 def judged(docs: DataFrame, max_share: float = MAX_SHARE, min_docs: int = MIN_DOCS, min_left: float = MIN_LEFT, most_docs: int | None = None, broadcast: int = BROADCAST_LINES) -> DataFrame:
     """All columns of docs (doc_id, text, source, ...), text without its boilerplate lines, and the
-    base columns, n_removed_lines, words_left, base_failed, kept."""
+    base columns, n_removed_lines, words_left, base_failed, kept, which take the place of columns of these names."""
+    docs = docs.drop(*BASE, "_row", "_lines")
     over = durable(boilerplate(docs, max_share, min_docs, most_docs))
     names = docs.columns
-    if (over.agg(F.sum("n_lines")).first()[0] or 0) <= broadcast:
-        joined, every = docs, frozenset(x for r in over.select("lines").collect() for x in r["lines"])  # a hash stands for host and line
+    if over.limit(broadcast + 1).count() <= broadcast:
+        joined, every = docs, frozenset(r["line"] for r in over.collect())
     else:  # a row meets its own lines only, not all of its host's
         every = None
         rows = written(docs.withColumn("_row", F.monotonically_increasing_id()))
-        own = line_rows(rows).join(over.select(F.explode("lines").alias("line")), "line").groupBy("_row").agg(F.collect_set("line").alias("_lines"))
+        own = line_rows(rows).join(over, "line").groupBy("_row").agg(F.collect_set("line").alias("_lines"))
         joined = rows.join(own, "_row", "left").drop("_row")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
