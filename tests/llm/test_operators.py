@@ -199,8 +199,9 @@ def test_mix_reaches_its_targets(documents, spark):
         assert abs(r["share"] - r["target"]) < 0.01
     sums = {r["kind"]: r for r in mix.withColumn("kind", F.expr("case when doc_id % 10 < 6 then 'clean' else 'rest' end")).groupBy("kind").agg(F.avg("rate").alias("rate"), F.sum("copies").alias("copies")).collect()}
     assert sums["clean"]["rate"] > 0.99 and sums["rest"]["rate"] < 0.05 and sums["clean"]["copies"] > 350
-    more = mixing.mixed(docs, named, {"clean": 0.4, "low": 0.3, "toxic": 0.3}, max_rate=4.0)
-    assert all(abs(r["share"] - r["target"]) < 0.02 for r in mixing.reached(more).collect()) and more.agg(F.max("copies")).first()[0] > 1
+    targets = {"clean": 0.4, "low": 0.3, "toxic": 0.3}
+    more = mixing.mixed(docs, named, targets, max_rate=4.0)
+    assert all(abs(r["share"] - r["target"]) < 0.02 for r in mixing.reached(more, targets).collect()) and more.agg(F.max("copies")).first()[0] > 1
     short = mixing.reached(mixing.mixed(docs, named, {"clean": 0.1, "low": 0.1, "toxic": 0.8}, total=1e6)).collect()
     assert next(r["share"] for r in short if r["domain"] == "toxic") < 0.8
 
