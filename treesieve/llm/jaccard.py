@@ -37,7 +37,9 @@ from .simhash import links, majority, shingle_hashes
 
 WIDTH, LEVEL, BANDS, ROWS, ALIKE = 5, 0.8, 24, 4, 60
 #: Leaders of a bucket in the first round, the factor by which they grow, parts of a member's comparisons in a join.
-LEADERS, GROWTH, SALTS = 1, 8, 64
+LEADERS, GROWTH, SALTS = 1, 64, 64
+#: Up to so many sets, the rows that are verified are sent to where the shingles lie; beyond, shingles are shuffled to them.
+SENT = 200_000
 
 
 @lru_cache(maxsize=4)
@@ -110,9 +112,9 @@ def similar(keyed: DataFrame, one: DataFrame, each: DataFrame, level: float = LE
     that share a key. keyed (key, id, n), distinct; row names the row of each (row, shingles) that has a set."""
 
     def check(pairs: DataFrame) -> DataFrame:
-        pairs = written(pairs)
-        needed = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct().join(one.select("id", "row"), "id")
-        return durable(verified(pairs, each.select("row", "shingles").join(needed, "row").select("id", "shingles"), level))
+        needed = written(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct().join(one.select("id", "row"), "id"))
+        small = needed.limit(SENT + 1).count() <= SENT
+        return durable(verified(pairs, each.select("row", "shingles").join(F.broadcast(needed) if small else needed, "row").select("id", "shingles"), level))
 
     # one set stands for a fingerprint; the others that have it are linked to it
     of = written(one.groupBy("fp").agg(F.min("id").alias("first"), F.count("*").alias("sets")))
@@ -120,22 +122,24 @@ def similar(keyed: DataFrame, one: DataFrame, each: DataFrame, level: float = LE
     firsts = of.select("fp", "first")
     near = near.join(firsts.toDF("u", "a"), "u").join(firsts.toDF("v", "b"), "v").select("a", "b")
     same = one.join(of.where("sets > 1"), "fp").where("id <> first").select(F.col("first").alias("a"), F.col("id").alias("b"))
-    pairs = near.union(same).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    found = check(pairs)
-    tested, roots = written(pairs), durable(components(found))
+    tested = written(near.union(same).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
+    found, roots = check(tested), None
 
     shared = written(keyed.groupBy("key").agg(F.count("*").alias("_n")).where("_n > 1").select("key"))
     left = keyed.join(shared, "key", "left_semi")
     while True:
-        named = written(left.join(roots, left.id == roots.node, "left").select("key", "id", "n", F.coalesce("root", "id").alias("root")))
+        if roots is None:  # buckets of the first round are compared whatever the links so far
+            named = written(left.withColumn("root", F.col("id")))
+        else:
+            named = written(left.join(roots, left.id == roots.node, "left").select("key", "id", "n", F.coalesce("root", "id").alias("root")))
         several = named.groupBy("key").agg(F.min("root").alias("_a"), F.max("root").alias("_b")).where("_a <> _b").select("key")
         rest = written(named.join(several, "key", "left_semi"))
         if rest.isEmpty():
-            return roots
+            return roots if roots is not None else components(found)
         lead = written(rest.groupBy("key", (F.xxhash64("id") % leaders).alias("turn")).agg(F.min(F.struct("id", "n", "root")).alias("lead")))
         met = rest.join(lead.select("key", "lead"), "key").where("root <> lead.root").where(F.least("n", "lead.n") >= level * F.greatest("n", "lead.n") - 1e-9)
         pairs = written(met.select(F.least("id", "lead.id").alias("a"), F.greatest("id", "lead.id").alias("b")).distinct().join(tested, ["a", "b"], "left_anti"))
-        found = found.union(check(alike(pairs, one)))
+        found = found.union(check(written(alike(pairs, one))))
         tested, roots, leaders = tested.union(pairs), durable(components(found)), leaders * GROWTH
         # leaders have met all; of the others, those stay whose bucket has several components
         left = rest.select("key", "id", "n").join(lead.select("key", F.col("lead.id").alias("id")), ["key", "id"], "left_anti")
