@@ -4,7 +4,9 @@ The domains are what the table ``labels`` tells apart: ``toxic``, ``low`` (quali
 Naive Bayes over the distinct hashed words of a text gives each document a posterior. It is fitted on a
 bounded number of labelled rows a domain (about ``ROWS_A_DOMAIN``, by hash of the id); a word is evidence
 only where its frequencies in two domains differ by ``SURE`` standard errors, as the sum of many words
-that happen to differ would outweigh all others in long texts. Rates are then fitted to
+that happen to differ would outweigh all others in long texts. That a text lacks the words of a domain
+is evidence against it, too, which the sum leaves out; for it, log-odds are multiplied by ``SHARP``, priors
+included. Rates are then fitted to
 all documents: with r the rate, t the tokens and p the posterior of a document, the expected tokens
 of domain k are S_k = sum(r t p_k), and projected gradient steps bring S to the targets T in least
 squares, r <- min(max_rate, max(0, r - p . g)), where g is the residual S - T in the metric of the
@@ -34,7 +36,7 @@ from .common import durable, table, words_of
 
 DOMAINS = ("clean", "low", "toxic")
 TARGETS = {"clean": 0.98, "low": 0.01, "toxic": 0.01}
-ROWS_A_DOMAIN, BUCKETS, SURE, STEPS, CLOSE = 20_000, 1 << 16, 8.0, 12, 1e-3
+ROWS_A_DOMAIN, BUCKETS, SURE, SHARP, STEPS, CLOSE = 20_000, 1 << 16, 8.0, 4.0, 12, 1e-3
 MAX_RATE = 4.0  # of the query: a domain may be repeated so often to reach its target
 
 
@@ -61,6 +63,7 @@ def word_evidence(docs: DataFrame, labels: DataFrame, rows: int = ROWS_A_DOMAIN)
         # an id that is labelled again and again is sampled whole, so the sample is counted before it is broadcast
         small = sample.limit(2 * rows * len(DOMAINS) + 1).count() <= 2 * rows * len(DOMAINS)
         words = docs.select("doc_id", "text").join(F.broadcast(sample) if small else sample, F.col("doc_id") == F.col("_id"))
+        words = words.groupBy("domain", F.xxhash64("text")).agg(F.first("text").alias("text"))  # copies are no further evidence
         found = words.select("domain", F.explode(words_of(F.col("text"))).alias("w")).groupBy("domain", bucket(F.col("w")).alias("b")).agg(F.count("*").alias("n"))
         for r in found.collect():
             counts[DOMAINS.index(r["domain"]), r["b"]] = r["n"]
@@ -90,7 +93,7 @@ def memberships(docs: DataFrame, evidence: tuple[list[float], np.ndarray]) -> Da
 
     words = words_of(F.col("text"))
     seen = docs.withColumn("_s", F.struct(F.size(words).cast("long").alias("n"), F.aggregate(F.array_distinct(words), zero, add).alias("g")))
-    odds = [F.lit(float(priors[0]))] + [F.lit(float(priors[k + 1])) + F.col("_s")["g"][f"g{k}"] for k in range(len(gains))]
+    odds = [F.lit(SHARP * float(priors[0]))] + [SHARP * (F.lit(float(priors[k + 1])) + F.col("_s")["g"][f"g{k}"]) for k in range(len(gains))]
     top = F.greatest(*odds)
     each = [F.exp(F.greatest(o - top, F.lit(-700.0))) for o in odds]
     whole = each[0] + each[1] + each[2]
