@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from treesieve import streaming
-from treesieve.functions.expr import AnalysisError, abs_, both, col
+from treesieve.functions.expr import AnalysisError, abs_, both, col, lit, sqrt_
 from treesieve.operators import joins, measures
 from treesieve.operators.tree import Agg, Forest, TreeSpec, build, read_index
 from treesieve.plans.query import Q, prune_with
@@ -146,3 +146,69 @@ def test_streams(spark, tree, tmp_path):
     q, forest = streaming.keep_index(stream(), start, str(tmp_path / "c4"), compact_at=3)
     q.awaitTermination()
     assert sum(Q(t).count().first()[0] for t in forest().members) == 70
+
+
+def test_restart_keeps_the_index(spark, tmp_path):
+    rows = points(spark, 60)
+    folder = str(tmp_path / "in")
+    rows.where("id < 20").coalesce(1).write.mode("append").parquet(folder)
+    start = Forest([build(rows.where("id >= 40"), TreeSpec.interval("x", leaf_rows=8, fanout=4))])
+    for least, most, want in ((None, None, 40), (20, 40, 60), (None, None, 60)):  # the last restart has nothing new
+        if least is not None:
+            rows.where(f"id >= {least} AND id < {most}").coalesce(1).write.mode("append").parquet(folder)
+        q, forest = streaming.keep_index(streaming.read_stream(spark, rows, folder), start, str(tmp_path / "c"))
+        q.awaitTermination()
+        assert sum(t.n for t in forest().members) == want
+    with pytest.raises(Exception):
+        forest().save(str(tmp_path / "c-forest"), Forest.versions(spark, str(tmp_path / "c-forest"))[-1])
+
+
+def test_nulls_in_outer_and_nearest(spark):
+    inner = spark.createDataFrame([(1, 5.0, None), (1, 5.0, None), (2, 7.0, "a"), (3, None, None), (4, 50.0, None)], "k long, v double, w string")
+    outer = spark.createDataFrame([(1, 4.0, 8.0), (2, 90.0, 91.0)], "id long, lo double, hi double")
+    t = build(inner, TreeSpec(("v",), leaf_rows=2, fanout=2))
+    p = col("v", 1).between(col("lo", 0), col("hi", 0))
+    for how in ("left", "right", "full"):
+        got = [tuple(r) for r in joins.single_index_join(outer, t, p, key=("id",), how=how).select("id", "r_k").collect()]
+        want = [(1, 1), (1, 1), (1, 2)] + ([(2, None)] if how != "right" else []) + ([(None, 3), (None, 4)] if how != "left" else [])
+        assert sorted(got, key=str) == sorted(want, key=str)
+    holes = spark.createDataFrame([(1, 0.0, None), (2, None, 0.0), (3, 9.0, 9.0), (4, 8.0, 20.0)], "k long, a double, b double")
+    t = build(holes, TreeSpec(("a", "b"), order=("k",), leaf_rows=2, fanout=2))
+    m = abs_(col("a", 1) - col("x", 0)) + abs_(col("b", 1) - col("x", 0))
+    got = joins.nearest(spark.createDataFrame([(7, 0.0)], "id long, x double"), t, m, ("id",), ("k",)).collect()
+    assert [(r["id"], r["r_k"], r["metric"]) for r in got] == [(7, 3, 18.0)]
+
+
+def test_roots_of_negative_numbers_and_timestamps(spark):
+    rows = spark.range(-50, 50).select(F.col("id").cast("double").alias("x"), (F.timestamp_seconds(F.lit(1704067200) + F.col("id") * 3600)).alias("ts"))
+    t = build(rows, TreeSpec(("x", "ts"), (Agg("count"),), order=("x",), leaf_rows=5, fanout=3))
+    for p, sql in ((sqrt_(col("x")) < 3, "sqrt(x) < 3"), (sqrt_(col("x")) > 3, "sqrt(x) > 3"), (lit(0) - sqrt_(col("x")) > 5, "0 - sqrt(x) > 5")):
+        assert Q(t).filter(p).count().first()[0] == Q(t).filter(p).rows().count() == rows.where(sql).count()
+    from treesieve.sources import files
+
+    got = files.tree_source(spark, t.path)
+    for sql in ("ts >= timestamp'2024-01-01 10:00:00'", "x < -20", "ts = timestamp'2024-01-01 00:00:00'"):
+        assert got.where(sql).count() == rows.where(sql).count() > 0
+
+
+def test_extremes_prune_by_stored_values(spark):
+    """The smallest id in a range of x: nodes that are taken whole give it, and leaves that can't beat it aren't read."""
+    n = 4000
+    rows = spark.range(n).select(F.col("id"), F.col("id").cast("double").alias("x"), F.when(F.col("id") % 7 > 0, F.col("id") * 2).alias("q"))
+    t = build(rows, TreeSpec(("x", "q"), (Agg("min", "id"), Agg("max", "id"), Agg("sum", "q")), order=("x",), leaf_rows=10, fanout=4))
+    q = Q(t).filter(col("x").between(105.5, 3004.5))
+    read: list = []
+    from treesieve.plans import query as plans
+
+    fetch = plans.fetch
+    plans.fetch = lambda tree, leaves, p: (read.append(leaves.count()), fetch(tree, leaves, p))[1]
+    try:
+        assert q.min("id").first()[0] == 106 and q.max("id").first()[0] == 3004
+        assert read == [1, 1]  # of two border leaves, the one that may beat the others
+        assert q.but(stored=False).min("id").first()[0] == 106
+        assert Q(t).filter(col("x") > 1e9).min("id").first()[0] is None
+    finally:
+        plans.fetch = fetch
+    want = rows.where("x between 105.5 and 3004.5").agg(F.avg("q")).first()[0]
+    assert q.reduce("avg", "q").first()[0] == pytest.approx(want) == q.but(stored=False).reduce("avg", "q").first()[0]
+    assert q.user_reduce(0, lambda a, b: a + b, "id", "long").first()[0] == rows.where("x between 105.5 and 3004.5").agg(F.sum("id")).first()[0]

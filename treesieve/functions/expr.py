@@ -165,7 +165,7 @@ BINARY: dict[str, Callable[[Column, Column], Column]] = {
     "pow": F.pow, "prefix": lambda a, b: F.startswith(a, b),
 }
 UNARY: dict[str, Callable[[Column], Column]] = {
-    "neg": lambda a: -a, "not": lambda a: ~a, "abs": F.abs, "sqrt": lambda a: F.sqrt(F.greatest(a, F.lit(0.0))), "floor": F.floor, "ceil": F.ceil, "exp": F.exp, "log": F.log,
+    "neg": lambda a: -a, "not": lambda a: ~a, "abs": F.abs, "sqrt": F.sqrt, "root": lambda a: F.sqrt(F.greatest(a, F.lit(0.0))), "floor": F.floor, "ceil": F.ceil, "exp": F.exp, "log": F.log,
     "sign": F.signum, "sin": F.sin, "cos": F.cos, "year": F.year, "micros": lambda a: F.unix_micros(a.cast("timestamp")), "null": lambda a: a.isNull(), "notnull": lambda a: a.isNotNull(),
     "round": lambda a: F.round(a), "isnan": F.isnan, "double": lambda a: a.cast("double"),
 }
@@ -220,11 +220,12 @@ def evaluate(e: E, row: dict[tuple[str, int], Any]) -> Any:
         return next((x for x in a if x is not None), None)
     if any(x is None for x in a):
         return None
+    order = lambda x: (x != x, 0 if x != x else x)  # noqa: E731  NaN is the largest
     away = lambda x: math.copysign(math.floor(abs(x) + 0.5), x)
     table: dict[str, Callable[[], Any]] = {
         "+": lambda: a[0] + a[1], "-": lambda: a[0] - a[1], "*": lambda: a[0] * a[1], "/": lambda: a[0] / a[1] if a[1] else None, "%": lambda: math.fmod(a[0], a[1]), "pow": lambda: a[0] ** a[1],
-        "<": lambda: a[0] < a[1], "<=": lambda: a[0] <= a[1], "=": lambda: a[0] == a[1], "!=": lambda: a[0] != a[1], "neg": lambda: -a[0], "not": lambda: not a[0], "abs": lambda: abs(a[0]),
-        "sqrt": lambda: math.sqrt(max(0.0, a[0])), "floor": lambda: math.floor(a[0]), "ceil": lambda: math.ceil(a[0]), "exp": lambda: math.exp(a[0]), "log": lambda: math.log(a[0]), "sign": lambda: (a[0] > 0) - (a[0] < 0),
+        "<": lambda: order(a[0]) < order(a[1]), "<=": lambda: order(a[0]) <= order(a[1]), "=": lambda: a[0] == a[1], "!=": lambda: a[0] != a[1], "neg": lambda: -a[0], "not": lambda: not a[0], "abs": lambda: abs(a[0]),
+        "sqrt": lambda: math.sqrt(a[0]) if a[0] >= 0 else math.nan, "root": lambda: math.sqrt(max(0.0, a[0])), "floor": lambda: math.floor(a[0]), "ceil": lambda: math.ceil(a[0]), "exp": lambda: math.exp(a[0]), "log": lambda: math.log(a[0]), "sign": lambda: (a[0] > 0) - (a[0] < 0),
         "sin": lambda: math.sin(a[0]), "cos": lambda: math.cos(a[0]), "round": lambda: away(a[0]), "in": lambda: a[0] in a[1:], "least": lambda: min(a), "greatest": lambda: max(a),
         "prefix": lambda: a[0].startswith(a[1]), "double": lambda: float(a[0]), "isnan": lambda: a[0] != a[0],
     }
@@ -251,7 +252,7 @@ def to_sql(e: E, names: dict[int, str]) -> str:
         return f"({a[0]} {'<>' if e.op == '!=' else e.op.upper()} {a[1]})"
     if e.op == "case":
         return "(CASE " + " ".join(f"WHEN {a[i]} THEN {a[i + 1]}" for i in range(0, len(a) - 1, 2)) + f" ELSE {a[-1]} END)"
-    plain = {"neg": "(-{0})", "not": "(NOT {0})", "null": "({0} IS NULL)", "notnull": "({0} IS NOT NULL)", "prefix": "starts_with({0}, {1})", "sqrt": "sqrt(greatest({0}, 0))", "double": "CAST({0} AS DOUBLE)", "log": "ln({0})"}
+    plain = {"neg": "(-{0})", "not": "(NOT {0})", "null": "({0} IS NULL)", "notnull": "({0} IS NOT NULL)", "prefix": "starts_with({0}, {1})", "sqrt": "(CASE WHEN {0} < 0 THEN CAST('NaN' AS DOUBLE) ELSE sqrt({0}) END)", "root": "sqrt(greatest({0}, 0))", "double": "CAST({0} AS DOUBLE)", "log": "ln({0})"}
     if e.op in plain:
         return plain[e.op].format(*a)
     if e.op == "in":

@@ -19,7 +19,7 @@ from collections.abc import Callable
 from .expr import E, FALSE, KERNELS, TRUE, AnalysisError, both, either, fn, greatest_, least_, lit, negate, walk
 from .intervals import GEOMETRIC, Env, bounds
 
-sqrt, absolute = fn("sqrt"), fn("abs")
+sqrt, absolute = fn("root"), fn("abs")
 
 
 def _geom(kind: str, dims: int, *args) -> E:

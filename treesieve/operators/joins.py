@@ -100,8 +100,7 @@ def _match(outer: DataFrame, tree: Tree, p: E) -> DataFrame:
 def single_index_join(outer: DataFrame, tree: Tree, p: E, output: str = "flat", key: tuple[str, ...] = (), prefixes: tuple[str, str] = ("", "r_"), how: str = "inner") -> DataFrame:
     """For each outer row the members that satisfy p. output: flat, or grouped (one row for each outer row,
     members in an array, empty where none match; key names the outer rows). how: inner, or left, right and
-    full to keep rows without a partner, in flat output; these need ``key`` (and for right and full, all
-    columns of the tree's rows tell them apart)."""
+    full to keep rows without a partner, in flat output; left and full need ``key``."""
     _check(p, outer.columns, tree.schema.names)
     left = _named(outer, LEFT)
     inner = tree.schema.names
@@ -116,8 +115,12 @@ def single_index_join(outer: DataFrame, tree: Tree, p: E, output: str = "flat",
         lone = outer.join(pairs.select(*[F.col(f"{LEFT}{k}").alias(k) for k in key]).distinct(), list(key), "left_anti")
         flat = flat.unionByName(lone.select(*[F.col(c).alias(f"{prefixes[0]}{c}") for c in outer.columns]), allowMissingColumns=True)
     if how in ("right", "full"):
-        met = pairs.select(*[F.col(f"{RIGHT}{c}").alias(c) for c in inner]).distinct()
-        lone = tree.scan().exceptAll(tree.scan().join(met, inner, "left_semi"))
+        # rows that are equal in all columns, nulls included, have the same partners
+        met = pairs.select(*[F.col(f"{RIGHT}{c}") for c in inner]).distinct()
+        same = F.lit(True)
+        for c in inner:
+            same = same & F.col(c).eqNullSafe(F.col(f"{RIGHT}{c}"))
+        lone = tree.scan().join(met, same, "left_anti")
         flat = flat.unionByName(lone.select(*[F.col(c).alias(f"{prefixes[1]}{c}") for c in inner]), allowMissingColumns=True)
     return flat
 
@@ -253,8 +256,12 @@ def nearest(outer: DataFrame, tree: Tree, metric: E, key: tuple[str, ...], tie:
         if "_best" in met.columns:
             met = met.where(F.col("_best").isNull() | (F.col("_near") <= F.col("_best")))
         elif hi is not None:
-            best = F.min(to_column(hi, _side)).over(Window.partitionBy(*names))
-            met = met.withColumn("_b", best).where(F.col("_b").isNull() | (F.col("_near") <= F.col("_b"))).drop("_b")
+            # a node proves its upper bound only if some member has all that the metric reads: here, if all have
+            whole = F.lit(True)
+            for n in sorted(columns(metric, 1)):
+                whole = whole & ((F.col(f"{RIGHT}{n}__nulls") == 0) if n in tree.spec.bounds else F.lit(False))
+            proven = F.min(F.when(whole, to_column(hi, _side))).over(Window.partitionBy(*names))
+            met = met.withColumn("_b", proven).where(F.col("_b").isNull() | (F.col("_near") <= F.col("_b"))).drop("_b")
         at = met if level == 0 else kids(met)
     ranked = members(at).withColumn("_n", F.row_number().over(Window.partitionBy(*names).orderBy("_m", *[f"{RIGHT}{t}" for t in tie]))).where(F.col("_n") <= k)
     out = [F.col(f"{LEFT}{c}").alias(f"{prefixes[0]}{c}") for c in outer.columns] + [F.col(f"{RIGHT}{c}").alias(f"{prefixes[1]}{c}") for c in tree.schema.names]

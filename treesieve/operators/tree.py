@@ -64,6 +64,9 @@ def base_dir(spark: SparkSession) -> str:
     where the session names none."""
     at = spark.conf.get("spark.checkpoint.dir", None) or getattr(base_dir, "own", None)
     if not at:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the cluster shares, or give paths")
         at = base_dir.own = tempfile.mkdtemp(prefix="trees-")  # type: ignore[attr-defined]
     return at
 
@@ -220,6 +223,7 @@ def build(df: DataFrame, spec: TreeSpec, path: str | None = None) -> Tree:
     of = spark.createDataFrame(offsets or [(0, 0)], "__p long, __before long")
     leafed = fixed.join(F.broadcast(of), part == F.col("__p")).withColumn("leaf_id", F.floor((F.col("__before") + inside) / spec.leaf_rows).cast("long")).select(*df.columns, "leaf_id")
     leafed.write.parquet(f"{path}/rows")
+    drop(spark, f"{path}/placed")
     return _finish(spark.read.parquet(f"{path}/rows"), df.schema, spec, path, before, began)
 
 
@@ -249,6 +253,12 @@ def read_index(spark: SparkSession, path: str) -> Tree:
     return Tree(spec, rows, [spark.read.parquet(f"{path}/level-{i}") for i in range(m["levels"])], m["n"], max(1, math.ceil(m["n"] / spec.leaf_rows)), path, schema=T.StructType([f for f in rows.schema.fields if f.name != "leaf_id"]))
 
 
+def drop(spark: SparkSession, path: str) -> None:
+    """Deletes a folder, wherever Spark keeps it."""
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
 @dataclass
 class Forest:
     """Trees of what came in at different times; a query's answer is the union over them."""
@@ -264,6 +274,25 @@ class Forest:
             whole = whole.unionByName(t.scan())
         return Forest([build(whole, self.members[0].spec)])
 
+    def save(self, path: str, version: int) -> None:
+        """Writes which trees belong to a version; a version that is there already is an error. Spark marks the folder
+        last, so a writer that was lost leaves nothing that ``load`` reads."""
+        spark = self.members[0].rows.sparkSession
+        listed = json.dumps([t.path for t in self.members])
+        spark.createDataFrame([(listed,)], "manifest string").coalesce(1).write.text(f"{path}/v{version:012d}")
+
+    @staticmethod
+    def versions(spark: SparkSession, path: str) -> list[int]:
+        at = spark._jvm.org.apache.hadoop.fs.Path(path)
+        fs = at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+        marked = fs.globStatus(spark._jvm.org.apache.hadoop.fs.Path(f"{path}/v*/_SUCCESS")) if fs.exists(at) else None
+        return sorted(int(s.getPath().getParent().getName()[1:]) for s in marked or ())
+
+    @staticmethod
+    def load(spark: SparkSession, path: str, version: int | None = None) -> Forest:
+        version = Forest.versions(spark, path)[-1] if version is None else version
+        return Forest([read_index(spark, p) for p in json.loads(spark.read.text(f"{path}/v{version:012d}").first()[0])])
+
 
 def env_of(tree: Tree, side: int):
     """Bounds of the columns of one side's node; columns of other sides are uniform."""

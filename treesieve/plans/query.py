@@ -19,10 +19,14 @@ from pyspark.sql import functions as F
 
 from ..functions.expr import FALSE, AnalysisError, E, both, col, columns, either, lit, negate, substitute, to_column, wrap
 from ..functions.intervals import bounds, guards, is_boolean, tighten
-from ..operators.tree import Forest, Tree, env_of
+from ..operators.tree import Agg, Forest, Tree, env_of
 
 #: Leaf runs that are written into the scan's filter; beyond, leaves are joined.
 MAX_RUNS = 200
+#: Levels with at most so many nodes above the one below them are passed over: their guards cost less than a join.
+START_NODES = 4096
+#: What is folded into one at each step of a user-defined reduction.
+FOLDS = 64
 ROW = lambda name, side: F.col(name)
 
 
@@ -57,12 +61,14 @@ def classify(nodes: DataFrame, always: E, maybe: E, prefix=ROW) -> DataFrame:
     return nodes.withColumn("verdict", F.when(to_column(always, prefix), 2).when(to_column(maybe, prefix), 1).otherwise(0))
 
 
-def descend(tree: Tree, p: E, prune: Any = None) -> Frontier:
-    """prune(level, nodes, taken) -> nodes, for value bounds."""
+def descend(tree: Tree, p: E, prune: Any = None, whole: bool = False) -> Frontier:
+    """prune(level, nodes, taken) -> nodes, for value bounds. The descent begins at the lowest level of few nodes, all of
+    which it reads; with ``whole``, at the root, for counters."""
     always, maybe = node_guards(tree, p)
     taken, seen = [], []
-    nodes = tree.levels[-1]
-    for level in range(tree.height, -1, -1):
+    start = tree.height if whole else min((lv for lv in range(tree.height + 1) if tree.n_leaves <= START_NODES * tree.under(lv)), default=tree.height)
+    nodes = tree.levels[start]
+    for level in range(start, -1, -1):
         done = classify(nodes, always, maybe)
         seen.append((level, done))
         if always != FALSE:
@@ -80,7 +86,7 @@ def descend(tree: Tree, p: E, prune: Any = None) -> Frontier:
 def fetch(tree: Tree, leaves: DataFrame, p: E) -> DataFrame:
     """Rows of the leaves, tested where a leaf isn't taken whole. Few runs of leaves become a filter on the
     clustered scan, many are joined."""
-    runs = leaves.groupBy("leaf_id", "whole").count().select("leaf_id", "whole").orderBy("leaf_id").limit(MAX_RUNS * 64 + 1).collect() if tree.n_leaves <= MAX_RUNS * 64 else None
+    runs = sorted(leaves.select("leaf_id", "whole").collect()) if tree.n_leaves <= MAX_RUNS * 64 else None
     test = to_column(p, ROW)
     if runs is not None:
         spans: list[list[Any]] = []
@@ -154,8 +160,7 @@ class Q:
         value, name = self._value(e), name or kind
         self.tree.check(value)
         if kind == "avg":
-            both_ = self.reduce("sum", e, "s").crossJoin(self.reduce("count", e, "n"))  # one row each
-            return both_.select((F.col("s") / F.col("n")).alias(name))
+            return self._average(value, name)
         f = {"count": F.count, "sum": F.sum, "min": F.min, "max": F.max, "product": F.product, "bit_and": F.bit_and, "bit_or": F.bit_or, "bit_xor": F.bit_xor, "bool_and": F.bool_and, "bool_or": F.bool_or}[kind]
         c = to_column(value, ROW)
         if not self.prune:
@@ -178,11 +183,25 @@ class Q:
         whole = parts.agg((F.sum if kind in ("count", "sum") else f)("v").alias(name))
         return whole.select(F.coalesce(name, F.lit(0).cast("long")).alias(name)) if kind == "count" else whole
 
+    def _average(self, value: E, name: str) -> DataFrame:
+        """Sum and number of values in one traversal; nodes taken whole give both if they are stored and the nulls of
+        the column are counted."""
+        c, of = to_column(value, ROW), value.value[0] if value.op == "col" else None
+        sums = [F.sum(c).alias("s"), F.count(c).alias("n")]
+        if not (self.prune and self.stored and self.fuse and of in self.tree.spec.bounds and self.tree.has("sum", of)):
+            return self.rows().agg(F.avg(c).alias(name))
+        front = descend(self.tree, self._guide())
+        parts = fetch(self.tree, front.tested.select(F.col("node_id").alias("leaf_id"), F.lit(False).alias("whole")), self.pred).agg(*sums)
+        for _, nodes in front.taken:
+            parts = parts.union(nodes.agg(F.sum(Agg("sum", of).name).alias("s"), F.sum(F.col("__rows") - F.col(f"{of}__nulls") + F.col(f"{of}__nan")).alias("n")))
+        return parts.agg((F.sum("s") / F.sum("n")).alias(name))
+
     def count(self, name: str = "n") -> DataFrame:
         return self.reduce("count", None, name)
 
     def user_reduce(self, zero: Any, combine: Any, value: E | str, kind: str = "double", name: str = "value") -> DataFrame:
-        """A commutative and associative ``combine`` of Python values: each task folds its rows, one row folds the rest."""
+        """A commutative and associative ``combine`` of Python values: each task folds its rows to one, ``FOLDS`` tasks fold
+        these, and one task folds theirs."""
         import pandas as pd
 
         c = to_column(self._value(value), ROW).alias("v")
@@ -196,7 +215,9 @@ class Q:
                 yield pd.DataFrame({"v": [acc]})
 
         partial = self.rows().select(c).mapInPandas(fold, f"v {kind}")
-        return partial.coalesce(1).mapInPandas(fold, f"v {kind}").select(F.col("v").alias(name))
+        for tasks in (FOLDS, 1):  # by a shuffle, so that the scan keeps its tasks
+            partial = partial.repartition(tasks).mapInPandas(fold, f"v {kind}")
+        return partial.select(F.col("v").alias(name))
 
     def _extreme(self, metric: E | str, largest: bool) -> tuple[DataFrame, E]:
         """Rows that can hold the extreme, found with value bounds: at each level the best bound that taken nodes
@@ -233,17 +254,37 @@ class Q:
             front.taken = [(lv, t.where(better(to_column(near, ROW), F.lit(b)) | to_column(near, ROW).isNull())) for lv, t in front.taken]
         return fetch(self.tree, front.leaves(), self.pred), m
 
+    def _stored_extreme(self, of: str, largest: bool, name: str) -> DataFrame:
+        """The extreme of a column whose extreme is stored in the nodes: a node taken whole attains its stored value,
+        and what can't beat the best so far is dropped, at each level, before any row is read."""
+        f = F.max if largest else F.min
+        stored = F.col(Agg("max" if largest else "min", of).name)
+        best: list[Any] = []
+
+        def cut(level: int, down: DataFrame, taken: DataFrame) -> DataFrame:
+            v = taken.agg(f(stored)).first()[0]
+            if v is not None and (not best or (v > best[0] if largest else v < best[0])):
+                best[:] = [v]
+            return down.where(stored > F.lit(best[0]) if largest else stored < F.lit(best[0])) if best else down.where(stored.isNotNull())
+
+        front = descend(self.tree, self._guide(), cut)
+        rows = fetch(self.tree, front.tested.select(F.col("node_id").alias("leaf_id"), F.lit(False).alias("whole")), self.pred).agg(f(of).alias("v"))
+        if not best:
+            return rows.select(F.col("v").alias(name))
+        kind = self.tree.schema[of].dataType
+        return rows.select((F.greatest if largest else F.least)("v", F.lit(best[0]).cast(kind)).alias(name))
+
     def min(self, metric: E | str, name: str = "value") -> DataFrame:
         m = self._value(metric)
         if self.prune and self.stored and m.op == "col" and self.tree.has("min", m.value[0]):
-            return self.reduce("min", metric, name)
+            return self._stored_extreme(m.value[0], False, name)
         rows, m = self._extreme(metric, False) if self.prune else (self.rows(), m)
         return rows.agg(F.min(to_column(m, ROW)).alias(name))
 
     def max(self, metric: E | str, name: str = "value") -> DataFrame:
         m = self._value(metric)
         if self.prune and self.stored and m.op == "col" and self.tree.has("max", m.value[0]):
-            return self.reduce("max", metric, name)
+            return self._stored_extreme(m.value[0], True, name)
         rows, m = self._extreme(metric, True) if self.prune else (self.rows(), m)
         return rows.agg(F.max(to_column(m, ROW)).alias(name))
 
@@ -280,7 +321,7 @@ class Q:
 
     def explain_analyze(self) -> DataFrame:
         """(level, taken, descended, pruned, rows_tested) of the traversal."""
-        front = descend(self.tree, self._guide())
+        front = descend(self.tree, self._guide(), whole=True)
         out = None
         for level, nodes in front.seen:
             is_ = lambda v: F.sum((F.col("verdict") == v).cast("long"))

@@ -7,13 +7,15 @@ still tests every row.
 
 from __future__ import annotations
 
-import json
+import base64
 import operator
+import pickle
 from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, GreaterThan, GreaterThanOrEqual, InputPartition, LessThan, LessThanOrEqual
+from pyspark.sql.types import TimestampType
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -88,7 +90,7 @@ class TreeSource(DataSource):
         return self.options["rows_schema"]
 
     def reader(self, schema):
-        return TreeReader(schema, self.options["rows"], json.loads(self.options["leaves"]))
+        return TreeReader(schema, self.options["rows"], pickle.loads(base64.b64decode(self.options["leaves"])))
 
 
 def tree_source(spark: SparkSession, path: str, most_leaves: int = 100_000) -> DataFrame:
@@ -99,6 +101,7 @@ def tree_source(spark: SparkSession, path: str, most_leaves: int = 100_000) -> D
     rows, leaves = spark.read.parquet(f"{path}/rows").drop("leaf_id"), spark.read.parquet(f"{path}/level-0")
     if leaves.count() > most_leaves:
         raise ValueError(f"more than {most_leaves} leaves")
-    listed = [r.asDict() for r in leaves.orderBy("node_id").collect()]
+    timed = [f.name for f in leaves.schema.fields if isinstance(f.dataType, TimestampType)]  # collected without a zone, pushed down with one
+    listed = [r.asDict() | {n: r[n].astimezone() for n in timed if r[n] is not None} for r in leaves.orderBy("node_id").collect()]
     local = f"{path}/rows".removeprefix("file://")
-    return spark.read.format("treesieve").option("rows", local).option("rows_schema", ", ".join(f"`{n}` {t}" for n, t in rows.dtypes)).option("leaves", json.dumps(listed, default=str)).load()
+    return spark.read.format("treesieve").option("rows", local).option("rows_schema", ", ".join(f"`{n}` {t}" for n, t in rows.dtypes)).option("leaves", base64.b64encode(pickle.dumps(listed)).decode()).load()

@@ -10,7 +10,7 @@ from pyspark.sql.streaming import StreamingQuery
 
 from ..functions.expr import E
 from ..operators.joins import single_index_join
-from ..operators.tree import Forest, Tree
+from ..operators.tree import Forest, Tree, drop
 
 
 def read_stream(spark: SparkSession, like: DataFrame, path: str, files_a_batch: int = 1) -> DataFrame:
@@ -44,14 +44,25 @@ def running_extremes(stream: DataFrame, key: str, metric: str, member: str) -> D
 
 
 def keep_index(stream: DataFrame, start: Forest, checkpoint: str, each: Callable[[Forest], None] = lambda f: None, compact_at: int = 8) -> tuple[StreamingQuery, Callable[[], Forest]]:
-    """Appends every micro-batch to a forest; from ``compact_at`` members on they are merged into one tree."""
-    held = [start]
+    """Appends every micro-batch to a forest; from ``compact_at`` members on they are merged into one tree. Each batch
+    leaves a version of the forest, named by its number, beside the checkpoint: a restart goes on from the newest
+    one, and a batch that is run again finds its version and adds nothing."""
+    spark, at = stream.sparkSession, f"{checkpoint}-forest"
 
-    def upkeep(batch: DataFrame, _: int) -> None:
-        if batch.isEmpty():
+    def newest() -> Forest:
+        return Forest.load(spark, at) if Forest.versions(spark, at) else start
+
+    held = [newest()]
+
+    def upkeep(batch: DataFrame, number: int) -> None:
+        if number in Forest.versions(spark, at):
+            held[0] = newest()
             return
-        grown = held[0].append(batch)
-        held[0] = grown.compact() if len(grown.members) >= compact_at else grown
+        if not batch.isEmpty():
+            grown = held[0].append(batch)
+            held[0] = grown.compact() if len(grown.members) >= compact_at else grown
+        drop(spark, f"{at}/v{number:012d}")  # what a lost writer may have begun
+        held[0].save(at, number)
         each(held[0])
 
     q = stream.writeStream.foreachBatch(upkeep).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
