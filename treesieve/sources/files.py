@@ -75,10 +75,12 @@ class TreeReader(DataSourceReader):
 
     def read(self, partition: Run) -> Iterator:
         import pyarrow.dataset as ds
+        from pyspark.sql.pandas.types import to_arrow_schema
 
         names = [f.name for f in self.schema.fields]
         data = ds.dataset(self.path, format="parquet")
-        yield from data.to_table(columns=names, filter=(ds.field("leaf_id") >= partition.first) & (ds.field("leaf_id") <= partition.last)).to_batches()
+        found = data.to_table(columns=names, filter=(ds.field("leaf_id") >= partition.first) & (ds.field("leaf_id") <= partition.last))
+        yield from found.cast(to_arrow_schema(self.schema)).to_batches()  # Spark writes timestamps of another unit than it reads
 
 
 class TreeSource(DataSource):
