@@ -6,10 +6,11 @@ import re
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.expr import E, to_column
+from .tree import Tree
 
 ROW = lambda name, side: F.col(name)
 
@@ -74,3 +75,65 @@ def box_overlaps(a: DataFrame, b: DataFrame, cell: float) -> DataFrame:
     for d in "xyz":
         met = met.where((F.col(f"a_l{d}") <= F.col(f"b_h{d}")) & (F.col(f"b_l{d}") <= F.col(f"a_h{d}")))
     return met.where(F.col("c") == F.floor(F.greatest("a_lx", "b_lx") / cell)).select("a_id", "b_id")
+
+
+BOUND = "_r_"
+
+
+def _by_hand(outer: DataFrame, tree: Tree, near: Column, far: Column | None, keep: Column, metric: E) -> DataFrame:
+    """The descent that a hand-written traversal makes, for all outer rows (with an id) at once: nodes that fail ``keep`` or begin
+    beyond what another node of the row proves are left; the best member is an aggregate."""
+    left = outer.select(*[F.col(c).alias(f"_l_{c}") for c in outer.columns])
+    named = lambda df: df.select(*[F.col(c).alias(f"{BOUND}{c}") for c in df.columns])
+    at = left.select(F.col("_l_id"), F.lit(0).cast("long").alias("_node"))
+    for level in range(tree.height, -1, -1):
+        met = at.join(named(tree.levels[level]), F.col("_node") == F.col(f"{BOUND}node_id")).join(left, "_l_id").where(keep)
+        if far is not None:
+            met = met.select("_l_id", "_node", near.alias("_near"), far.alias("_far"))
+            best = met.groupBy("_l_id").agg(F.min("_far").alias("_best"))
+            met = met.join(best, "_l_id").where(F.col("_best").isNull() | (F.col("_near") <= F.col("_best")))
+        f = tree.spec.fanout
+        at = met.select("_l_id", "_node") if level == 0 else met.select("_l_id", F.explode(F.sequence(F.col("_node") * f, F.col("_node") * f + f - 1)).alias("_node"))
+    rows = named(tree.rows)
+    found = at.join(rows, F.col("_node") == F.col(f"{BOUND}leaf_id")).join(left, "_l_id")
+    side = lambda name, s: F.col(f"{'_l_' if s == 0 else BOUND}{name}")
+    return found.withColumn("m", to_column(metric, side)).where("m is not null").groupBy(F.col("_l_id").alias("id")).agg(F.min(F.struct("m", F.col(f"{BOUND}id").alias("r_id"))).alias("b")).select("id", "b.r_id", "b.m")
+
+
+def _corners(axis: str) -> tuple[Column, Column]:
+    at = [f"{BOUND}{v}{axis}" for v in "abc"]
+    return F.least(*[F.col(f"{c}_lo") for c in at]), F.greatest(*[F.col(f"{c}_hi") for c in at])
+
+
+def closest_point(points: DataFrame, tree: Tree, metric: E) -> DataFrame:
+    """For each point (id, px, py, pz) the closest triangle of a tree over corners (ax .. cz): squared distances to a
+    node's box, written out. Returns (id, r_id, m)."""
+    near, far, full = F.lit(0.0), F.lit(0.0), F.lit(True)
+    for d in "xyz":
+        lo, hi = _corners(d)
+        p = F.col(f"_l_p{d}")
+        gap, reach = F.greatest(lo - p, F.lit(0.0), p - hi), F.greatest(p - lo, hi - p)
+        near, far = near + gap * gap, far + reach * reach
+        for v in "abc":
+            full = full & (F.col(f"{BOUND}{v}{d}__nulls") == 0)
+    return _by_hand(points, tree, near * (1 - 1e-12), F.when(full, far * (1 + 1e-12)), F.lit(True), metric)
+
+
+def closest_hit(rays: DataFrame, tree: Tree, metric: E) -> DataFrame:
+    """For each ray (id, ox .. dz) the triangle that it hits first: nodes whose box the ray meets, by slabs written out."""
+    into, out = [F.lit(0.0)], []
+    for d in "xyz":
+        lo, hi = _corners(d)
+        o, v = F.col(f"_l_o{d}"), F.col(f"_l_d{d}")
+        inside = (lo <= o) & (o <= hi)
+        a, b = (lo - o) / F.nullif(v, F.lit(0.0)), (hi - o) / F.nullif(v, F.lit(0.0))
+        into.append(F.when(v == 0, F.when(inside, F.lit(0.0)).otherwise(F.lit(float("inf")))).otherwise(F.least(a, b)))
+        out.append(F.when(v == 0, F.lit(float("inf"))).otherwise(F.greatest(a, b)))
+    return _by_hand(rays, tree, F.greatest(*into), None, F.greatest(*into) * (1 - 1e-12) <= F.least(*out) * (1 + 1e-12), metric)
+
+
+def brute_nearest(outer: DataFrame, inner: DataFrame, metric: E) -> DataFrame:
+    """All pairs, the best of each outer row: what the traversals are to beat. Returns (id, r_id, m)."""
+    left, right = (df.select(*[F.col(c).alias(f"{p}{c}") for c in df.columns]) for df, p in ((outer, "_l_"), (inner, BOUND)))
+    met = left.crossJoin(right).withColumn("m", to_column(metric, lambda name, s: F.col(f"{'_l_' if s == 0 else BOUND}{name}"))).where("m is not null")
+    return met.groupBy(F.col("_l_id").alias("id")).agg(F.min(F.struct("m", F.col(f"{BOUND}id").alias("r_id"))).alias("b")).select("id", "b.r_id", "b.m")
