@@ -5,9 +5,9 @@ import math
 import pytest
 from pyspark.sql import functions as F
 
-from treesieve import streaming
-from treesieve.functions.expr import AnalysisError, abs_, both, col, lit, sqrt_
-from treesieve.operators import joins, measures
+from treesieve import streaming, workloads
+from treesieve.functions.expr import AnalysisError, E, abs_, bind, both, col, lit, sqrt_
+from treesieve.operators import baselines, joins, measures
 from treesieve.operators.tree import Agg, Forest, TreeSpec, build, read_index
 from treesieve.plans.query import Q, prune_with
 
@@ -212,3 +212,27 @@ def test_extremes_prune_by_stored_values(spark):
     want = rows.where("x between 105.5 and 3004.5").agg(F.avg("q")).first()[0]
     assert q.reduce("avg", "q").first()[0] == pytest.approx(want) == q.but(stored=False).reduce("avg", "q").first()[0]
     assert q.user_reduce(0, lambda a, b: a + b, "id", "long").first()[0] == rows.where("x between 105.5 and 3004.5").agg(F.sum("id")).first()[0]
+
+
+def test_bound_terms_keep_the_value_and_the_guards_of_divisions(spark):
+    x, y = col("x"), col("y")
+    s = (x - y) * (x - y) + 1
+    e = E("case", (y.eq(0.0), lit(-1.0), s * s / y + s * (s + x / y)))
+    df = spark.createDataFrame([(1.0, 0.0, 7), (3.0, 2.0, 8), (None, 2.0, 9)], "x double, y double, `a.b` int")
+    got = bind(df, e, lambda c, _: F.col(c), "m")
+    assert got.columns == ["x", "y", "a.b", "m"]
+    assert [r["m"] for r in got.orderBy("`a.b`").collect()] == [-1.0, 4.0 / 2.0 + 2.0 * (2.0 + 1.5), None]
+
+
+def test_closest_by_hand_and_by_brute_force_agree(spark):
+    t = workloads.fixture(spark, "/root/testdata/sf0.001", "tri").where("id < 60")
+    indexed = build(t, TreeSpec.boxes(workloads.TRI, order=("ax", "ay", "az"), leaf_rows=8, fanout=3))
+    seen = lambda df: sorted((r["id"], r["r_id"], round(r["m"], 9)) for r in df.collect())
+    points = workloads.fixture(spark, "/root/testdata/sf0.001", "point").where("id < 30")
+    want = seen(baselines.brute_nearest(points, t, workloads.TO_TRI))
+    assert len(want) == 30 and seen(baselines.closest_point(points, indexed, workloads.TO_TRI)) == want
+    assert seen(joins.nearest(points, indexed, workloads.TO_TRI, ("id",), ("id",), name="m")) == want
+    rays = workloads.fixture(spark, "/root/testdata/sf0.001", "ray")
+    want = seen(baselines.brute_nearest(rays, t, workloads.TRAVEL))
+    assert want and seen(baselines.closest_hit(rays, indexed, workloads.TRAVEL)) == want
+    assert seen(joins.nearest(rays, indexed, workloads.TRAVEL, ("id",), ("id",), workloads.HIT, name="m")) == want

@@ -14,7 +14,7 @@ from dataclasses import dataclass
 from functools import reduce
 from typing import Any
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
@@ -200,6 +200,51 @@ def to_column(e: E, resolve: Callable[[str, int], Column]) -> Column:
     raise AnalysisError(f"no column for {e.op}")
 
 
+def bind(df: DataFrame, e: E, resolve: Callable[[str, int], Column], name: str) -> DataFrame:
+    """df with e as a further column. Terms that e repeats (geometry repeats most of its own) are columns of earlier
+    projections, which the optimiser leaves apart as each is read more than once; so they are computed once and
+    generated methods stay small. A filter on the new column would be pushed below them and undo that: aggregate or
+    rank by it instead. Terms of conditional branches are computed for all rows, so user calls, conversions and
+    divisions are bound only together with the condition that guards them."""
+    index: dict[tuple, int] = {}
+    nodes: list[tuple[str, Any, tuple[int, ...]]] = []
+    refs: list[int] = []
+
+    def intern(x: E) -> int:
+        if x.op in KERNELS:
+            return intern(KERNELS[x.op](*x.args))
+        args = tuple(intern(a) for a in x.args)
+        key = (x.op, type(x.value), x.value if x.op != "call" else id(x.value), args)
+        if key not in index:
+            index[key] = len(nodes)
+            nodes.append((x.op, x.value, args))
+            refs.append(0)
+            for a in args:
+                refs[a] += 1
+        return index[key]
+
+    top = intern(e)
+    raises = [False] * len(nodes)
+    layer = [0] * len(nodes)
+    tmp = lambda i: f"_{name}_{i}"
+    bound = set()
+    for i, (op, _, args) in enumerate(nodes):
+        raises[i] = op in ("call", "/", "%", "double") or any(raises[a] for a in (args[:1] if op == "case" else args))
+        layer[i] = max((layer[a] + (a in bound) for a in args), default=0)
+        if args and refs[i] > 1 and not raises[i]:
+            bound.add(i)
+
+    def made(i: int, here: bool = False) -> E:
+        op, value, args = nodes[i]
+        return E("col", value=(tmp(i), -1)) if i in bound and not here else E(op, tuple(made(a) for a in args), value)
+
+    of = lambda c, side: F.col(c) if side == -1 else resolve(c, side)
+    kept = df.columns
+    for step in range(max((layer[i] + 1 for i in bound), default=0)):
+        df = df.select("*", *[to_column(made(i, True), of).alias(tmp(i)) for i in sorted(bound) if layer[i] == step])
+    return df.select(*[F.col(f"`{c}`") for c in kept], to_column(made(top), of).alias(name))
+
+
 def evaluate(e: E, row: dict[tuple[str, int], Any]) -> Any:
     """Value in Python; None where an argument is."""
     if e.op == "lit":

@@ -6,10 +6,10 @@ import re
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.expr import E, to_column
+from ..functions.expr import E, bind, to_column
 from .tree import Tree
 
 ROW = lambda name, side: F.col(name)
@@ -80,6 +80,11 @@ def box_overlaps(a: DataFrame, b: DataFrame, cell: float) -> DataFrame:
 BOUND = "_r_"
 
 
+def _least(met: DataFrame) -> DataFrame:
+    some = F.when(F.col("m").isNotNull(), F.struct("m", F.col(f"{BOUND}id").alias("r_id")))
+    return met.groupBy(F.col("_l_id").alias("id")).agg(F.min(some).alias("b")).where("b is not null").select("id", "b.r_id", "b.m")
+
+
 def _by_hand(outer: DataFrame, tree: Tree, near: Column, far: Column | None, keep: Column, metric: E) -> DataFrame:
     """The descent that a hand-written traversal makes, for all outer rows (with an id) at once: nodes that fail ``keep`` or begin
     beyond what another node of the row proves are left; the best member is an aggregate."""
@@ -89,15 +94,14 @@ def _by_hand(outer: DataFrame, tree: Tree, near: Column, far: Column | None, kee
     for level in range(tree.height, -1, -1):
         met = at.join(named(tree.levels[level]), F.col("_node") == F.col(f"{BOUND}node_id")).join(left, "_l_id").where(keep)
         if far is not None:
-            met = met.select("_l_id", "_node", near.alias("_near"), far.alias("_far"))
-            best = met.groupBy("_l_id").agg(F.min("_far").alias("_best"))
-            met = met.join(best, "_l_id").where(F.col("_best").isNull() | (F.col("_near") <= F.col("_best")))
+            best = F.min("_far").over(Window.partitionBy("_l_id"))
+            met = met.select("_l_id", "_node", near.alias("_near"), far.alias("_far")).withColumn("_best", best).where(F.col("_best").isNull() | (F.col("_near") <= F.col("_best")))
         f = tree.spec.fanout
         at = met.select("_l_id", "_node") if level == 0 else met.select("_l_id", F.explode(F.sequence(F.col("_node") * f, F.col("_node") * f + f - 1)).alias("_node"))
     rows = named(tree.rows)
     found = at.join(rows, F.col("_node") == F.col(f"{BOUND}leaf_id")).join(left, "_l_id")
     side = lambda name, s: F.col(f"{'_l_' if s == 0 else BOUND}{name}")
-    return found.withColumn("m", to_column(metric, side)).where("m is not null").groupBy(F.col("_l_id").alias("id")).agg(F.min(F.struct("m", F.col(f"{BOUND}id").alias("r_id"))).alias("b")).select("id", "b.r_id", "b.m")
+    return _least(bind(found, metric, side, "m"))
 
 
 def _corners(axis: str) -> tuple[Column, Column]:
@@ -135,5 +139,4 @@ def closest_hit(rays: DataFrame, tree: Tree, metric: E) -> DataFrame:
 def brute_nearest(outer: DataFrame, inner: DataFrame, metric: E) -> DataFrame:
     """All pairs, the best of each outer row: what the traversals are to beat. Returns (id, r_id, m)."""
     left, right = (df.select(*[F.col(c).alias(f"{p}{c}") for c in df.columns]) for df, p in ((outer, "_l_"), (inner, BOUND)))
-    met = left.crossJoin(right).withColumn("m", to_column(metric, lambda name, s: F.col(f"{'_l_' if s == 0 else BOUND}{name}"))).where("m is not null")
-    return met.groupBy(F.col("_l_id").alias("id")).agg(F.min(F.struct("m", F.col(f"{BOUND}id").alias("r_id"))).alias("b")).select("id", "b.r_id", "b.m")
+    return _least(bind(left.crossJoin(right), metric, lambda name, s: F.col(f"{'_l_' if s == 0 else BOUND}{name}"), "m"))

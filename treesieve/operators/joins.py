@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.expr import FALSE, AnalysisError, E, both, col, columns, either, lit, to_column
+from ..functions.expr import FALSE, AnalysisError, E, bind, both, col, columns, either, lit, to_column
 from ..functions.intervals import bounds, guards, is_boolean
 from .tree import Tree
 
@@ -214,56 +214,55 @@ def nested_join(a: DataFrame, b: DataFrame, p: E, prefixes: tuple[str, str] = ("
 def nearest(outer: DataFrame, tree: Tree, metric: E, key: tuple[str, ...], tie: tuple[str, ...], p: E | None = None, k: int = 1, prefixes: tuple[str, str] = ("", "r_"), name: str = "metric") -> DataFrame:
     """For each outer row the k members of the smallest metric among those that satisfy p (all without p).
 
-    Without p any node proves an upper bound for the best, and nodes that start beyond it are dropped
-    at every level. With p no node does (no member may satisfy it), so a first pass dives to the leaf
-    of the lowest bound and takes its best, and the full pass is pruned by that.
+    A first pass dives to one leaf for each row and takes its k-th best; the full pass leaves nodes that begin
+    beyond it. Both are linear in the levels; nothing of a level is computed twice.
     """
     _check(both(p or lit(True)), outer.columns, tree.schema.names)
     left = _named(outer, LEFT)
     names = [f"{LEFT}{c}" for c in key]
-    lo, hi = bounds(metric, lambda n, s: None if s == 0 else (col(f"{n}_lo", 1), col(f"{n}_hi", 1)) if n in tree.spec.bounds else (None, None))
+    lo, _ = bounds(metric, lambda n, s: None if s == 0 else (col(f"{n}_lo", 1), col(f"{n}_hi", 1)) if n in tree.spec.bounds else (None, None))
     if lo is None:
         lo = lit(float("-inf"))
     maybe = _pair_guards(p, None, tree)[1] if p is not None else lit(True)
     near = to_column(lo, _side)
     rows = _named(tree.rows, RIGHT)
-    value = to_column(metric, _side)
+    wanted = metric if p is None else E("case", (p, metric, lit(None)))
 
     def meet(at: DataFrame, level: int) -> DataFrame:
         nodes = _named(tree.levels[level], RIGHT)
         return at.join(nodes, F.col("_node") == F.col(f"{RIGHT}node_id")).where(to_column(maybe, _side)).withColumn("_near", near)
 
     def members(at: DataFrame) -> DataFrame:
-        found = at.join(rows, F.col("_node") == F.col(f"{RIGHT}leaf_id")).withColumn("_m", value)
-        return found.where(F.col("_m").isNotNull() if p is None else to_column(p, _side) & F.col("_m").isNotNull())
+        return bind(at.join(rows, F.col("_node") == F.col(f"{RIGHT}leaf_id")), wanted, _side, "_m")
 
     def kids(met: DataFrame) -> DataFrame:
         f = tree.spec.fanout
         return met.select(*left.columns, *(["_best"] if "_best" in met.columns else []), F.explode(F.sequence(F.col("_node") * f, F.col("_node") * f + f - 1)).alias("_node"))
 
     start = left.withColumn("_node", F.lit(0).cast("long"))
-    if p is not None or k > 1:
-        dive = start
-        for level in range(tree.height, -1, -1):
-            met = meet(dive, level)
-            first = met.withColumn("_n", F.row_number().over(Window.partitionBy(*names).orderBy("_near", "_node"))).where("_n = 1").drop("_n")
-            dive = first.select(*left.columns, "_node") if level == 0 else kids(first)
-        kth = members(dive).withColumn("_n", F.row_number().over(Window.partitionBy(*names).orderBy("_m"))).where(F.col("_n") == k).select(*names, F.col("_m").alias("_best"))
-        start = start.join(kth, names, "left")
+    # the dive: at each level the child that begins nearest; its leaf's k-th best is a bound that all may use
+    dive = start
+    for level in range(tree.height, -1, -1):
+        met = meet(dive, level).withColumn("_first", F.struct(F.coalesce("_near", F.lit(float("inf"))).alias("near"), "_node"))
+        first = met.groupBy(*names).agg(F.min("_first").alias("_first")).select(*names, F.col("_first._node").alias("_node")).join(left, names)
+        dive = first if level == 0 else kids(first)
+    if k == 1:
+        kth = members(dive).groupBy(*names).agg(F.min("_m").alias("_best"))
+    else:
+        kth = members(dive).withColumn("_n", F.row_number().over(Window.partitionBy(*names).orderBy(F.col("_m").asc_nulls_last()))).where(F.col("_n") == k).select(*names, F.col("_m").alias("_best"))
+    start = start.join(kth, names, "left")
     at = start
     for level in range(tree.height, -1, -1):
         met = meet(at, level)
-        if "_best" in met.columns:
-            met = met.where(F.col("_best").isNull() | (F.col("_near") <= F.col("_best")))
-        elif hi is not None:
-            # a node proves its upper bound only if some member has all that the metric reads: here, if all have
-            whole = F.lit(True)
-            for n in sorted(columns(metric, 1)):
-                whole = whole & ((F.col(f"{RIGHT}{n}__nulls") == 0) if n in tree.spec.bounds else F.lit(False))
-            proven = F.min(F.when(whole, to_column(hi, _side))).over(Window.partitionBy(*names))
-            met = met.withColumn("_b", proven).where(F.col("_b").isNull() | (F.col("_near") <= F.col("_b"))).drop("_b")
+        met = met.where(F.col("_best").isNull() | (F.col("_near") <= F.col("_best")))
         at = met if level == 0 else kids(met)
-    ranked = members(at).withColumn("_n", F.row_number().over(Window.partitionBy(*names).orderBy("_m", *[f"{RIGHT}{t}" for t in tie]))).where(F.col("_n") <= k)
+    if k == 1:  # an aggregate, combined before the shuffle
+        order = F.when(F.col("_m").isNotNull(), F.struct("_m", *[f"{RIGHT}{t}" for t in tie]))
+        row = F.struct("_m", *[f"{RIGHT}{c}" for c in tree.schema.names])
+        best = members(at).groupBy(*names).agg(F.min_by(row, order).alias("_row")).where("_row is not null")
+        ranked = best.select(*names, "_row.*").join(left, names)
+    else:
+        ranked = members(at).withColumn("_n", F.row_number().over(Window.partitionBy(*names).orderBy(F.col("_m").asc_nulls_last(), *[f"{RIGHT}{t}" for t in tie]))).where((F.col("_n") <= k) & F.col("_m").isNotNull())
     out = [F.col(f"{LEFT}{c}").alias(f"{prefixes[0]}{c}") for c in outer.columns] + [F.col(f"{RIGHT}{c}").alias(f"{prefixes[1]}{c}") for c in tree.schema.names]
     return ranked.select(*out, F.col("_m").alias(name), *([F.col("_n").alias("rank")] if k > 1 else []))
 
