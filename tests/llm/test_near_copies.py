@@ -40,3 +40,32 @@ def test_links_are_those_of_all_pairs(documents):
         want = [min(want[j] for j in range(80) if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j])) for i in range(80)]
     got = {x["doc_id"]: x["component_id"] for x in jaccard.classes(documents(rows)).collect()}
     assert [got[i] for i in range(80)] == want and 4 < len(set(want)) < 80
+
+
+def test_copies_that_are_not_similar_enough_meet_few(documents, monkeypatch):
+    r = random.Random(5)
+    base, rows = prose(34, 90).split(), []
+    for i in range(600):  # one word changed: five of 30 shingles, so that two such copies link only if much the same place changed
+        w = list(base)
+        w[r.randrange(len(w))] = f"z{i}"
+        rows.append((i, " ".join(w), "s"))
+    met, alike = [], jaccard.alike
+    monkeypatch.setattr(jaccard, "alike", lambda pairs, one, *a: met.append(pairs.count()) or alike(pairs, one, *a))
+    got = {x["doc_id"]: x["component_id"] for x in jaccard.classes(documents(rows)).collect()}
+    sets = [set(jaccard.shingle_hashes(t.encode(), 5).tolist()) for _, t, _ in rows]
+    want = list(range(600))
+    close = [[j for j in range(600) if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j])] for i in range(600)]
+    for _ in range(10):
+        want = [min(want[j] for j in c) for c in close]
+    assert [got[i] for i in range(600)] == want and len(set(want)) > 300
+    assert sum(met) < 16 * 600
+
+
+def test_prefixes_lose_no_pair(spark):
+    r = random.Random(6)
+    sets = [sorted({r.randrange(40) for _ in range(r.randint(1, 30))}) for _ in range(60)]
+    sets += [sorted({*s} ^ {r.randrange(40)}) or [7] for s in sets for _ in range(3)]
+    df = spark.createDataFrame([(i, i, s) for i, s in enumerate(sets)], "id long, root long, shingles array<int>")
+    got = {tuple(x) for x in jaccard.prefix_pairs(df).collect()}
+    near = {(i, j) for i, a in enumerate(sets) for j, b in enumerate(sets) if i < j and len({*a} & {*b}) >= 0.8 * len({*a} | {*b})}
+    assert near <= got and len(near) > 100

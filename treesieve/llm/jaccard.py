@@ -9,11 +9,13 @@ is compared in its minima first, a byte of each: fewer than ``ALIKE`` of 96 agre
 of 1 in 50,000. The rest is verified by its shingles, as hashes of 32 bits: that one of n shingles
 meets one of m others by chance has probability n m / 2^32.
 
-A key's members are not compared in all pairs at once. In each round some members of a bucket lead:
-each is compared with all members that are not of its component yet, and leaves. Buckets whose
-members are all of one component are done, so a large group of near copies costs one comparison a
-member, and only what shares keys without being linked costs more. The number of leaders grows from
-round to round; rounds end when no bucket has two components left.
+A key's members are not compared in all pairs. First one member of each bucket leads: it is compared with
+all others and leaves. Buckets whose members are then of one component are done, so a large group of near
+copies costs one comparison a member. What remains shares keys without being linked. Buckets of at most
+``SMALL`` members are compared in pairs. The members of larger ones are joined by a complete prefix filter
+instead: with a set's shingles in order of rareness, the first that two similar sets of n and m have in common
+has at most n - o shingles before it in the one and m - o in the other, o being the overlap that they need. Copies that differ by
+a few words begin with shingles of their own, so many copies that are not similar enough meet nothing.
 
 Results: equal sets of shingles are one row throughout; a text without words has the empty set and
 is a copy of its like; fewer than ``width`` words are one shingle; a component's id is the smallest
@@ -36,8 +38,10 @@ from .common import components, durable, list_array, texts, written
 from .simhash import links, majority, shingle_hashes
 
 WIDTH, LEVEL, BANDS, ROWS, ALIKE = 5, 0.8, 24, 4, 60
-#: Leaders of a bucket in the first round, the factor by which they grow, parts of a member's comparisons in a join.
-LEADERS, GROWTH, SALTS = 1, 64, 64
+#: Members of a bucket that are compared in pairs once its leader has left, parts of a member's comparisons in a join.
+SMALL, SALTS = 16, 64
+#: Classes of sizes: a set's partners have sizes of some 450 / SIZES per cent steps, which join keys name.
+SIZES = 32
 #: Up to so many sets, the rows that are verified are sent to where the shingles lie; beyond, shingles are shuffled to them.
 SENT = 200_000
 
@@ -107,14 +111,34 @@ def verified(pairs: DataFrame, sets: DataFrame, level: float = LEVEL) -> DataFra
     return counted.where(F.col("common") >= level * (F.col("of") - F.col("common")) - 1e-9).select("a", "b")
 
 
-def similar(keyed: DataFrame, one: DataFrame, each: DataFrame, level: float = LEVEL, leaders: int = LEADERS) -> DataFrame:
+def prefix_pairs(sets: DataFrame, level: float = LEVEL) -> DataFrame:
+    """(a, b), a < b: all pairs of the sets (id, root, shingles) with different roots that can be similar, by the first shingle that
+    they have in common: rare ones come first. The key names the classes of both sizes."""
+    each = sets.select("id", "root", F.size("shingles").alias("n"), F.explode("shingles").alias("s"))
+    often = each.groupBy("s").agg(F.count("*").alias("often"))
+    place = F.row_number().over(Window.partitionBy("id").orderBy("often", "s"))
+    size_class = lambda c: F.floor(F.log(c) * SIZES).cast("int")
+    # with p shingles before the common one, at most n - p are shared, and similar sets share level / (1 + level) of n + m
+    placed = each.join(often, "s").withColumn("most", F.floor((F.col("n") - place + 1) * ((1 + level) / level) - F.col("n") + 1e-6).cast("int"))
+    low, high = F.greatest(F.ceil(F.col("n") * level - 1e-6), F.lit(1)), F.least(F.col("most"), F.floor(F.col("n") / level + 1e-6))
+    keyed = placed.where(low <= high).select("s", "id", "root", "n", "most", size_class(F.col("n")).alias("own"), F.explode(F.sequence(size_class(low), size_class(high))).alias("other"))
+    x = keyed.toDF("s", "id_a", "root_a", "n_a", "most_a", "own", "other")
+    y = keyed.toDF("s", "id_b", "root_b", "n_b", "most_b", "other", "own")
+    met = x.join(y, ["s", "own", "other"]).where("id_a < id_b AND root_a <> root_b AND n_b <= most_a AND n_a <= most_b")
+    return met.select(F.col("id_a").alias("a"), F.col("id_b").alias("b")).distinct()
+
+
+def similar(keyed: DataFrame, one: DataFrame, each: DataFrame, level: float = LEVEL, small: int = SMALL) -> DataFrame:
     """(node, root): components of the links between the sets of ``one`` (id, fp, sketch, row), whose fingerprints link or
     that share a key. keyed (key, id, n), distinct; row names the row of each (row, shingles) that has a set."""
 
+    def shingles(ids: DataFrame) -> DataFrame:
+        needed = written(ids.join(one.select("id", "row"), "id"))
+        few = needed.limit(SENT + 1).count() <= SENT
+        return each.select("row", "shingles").join(F.broadcast(needed) if few else needed, "row").drop("row")
+
     def check(pairs: DataFrame) -> DataFrame:
-        needed = written(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct().join(one.select("id", "row"), "id"))
-        small = needed.limit(SENT + 1).count() <= SENT
-        return durable(verified(pairs, each.select("row", "shingles").join(F.broadcast(needed) if small else needed, "row").select("id", "shingles"), level))
+        return durable(verified(pairs, shingles(pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()).select("id", "shingles"), level))
 
     # one set stands for a fingerprint; the others that have it are linked to it
     of = written(one.groupBy("fp").agg(F.min("id").alias("first"), F.count("*").alias("sets")))
@@ -123,26 +147,33 @@ def similar(keyed: DataFrame, one: DataFrame, each: DataFrame, level: float = LE
     near = near.join(firsts.toDF("u", "a"), "u").join(firsts.toDF("v", "b"), "v").select("a", "b")
     same = one.join(of.where("sets > 1"), "fp").where("id <> first").select(F.col("first").alias("a"), F.col("id").alias("b"))
     tested = written(near.union(same).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
-    found, roots = check(tested), None
-
-    shared = written(keyed.groupBy("key").agg(F.count("*").alias("_n")).where("_n > 1").select("key"))
-    left = keyed.join(shared, "key", "left_semi")
-    while True:
-        if roots is None:  # buckets of the first round are compared whatever the links so far
-            named = written(left.withColumn("root", F.col("id")))
-        else:
-            named = written(left.join(roots, left.id == roots.node, "left").select("key", "id", "n", F.coalesce("root", "id").alias("root")))
-        several = named.groupBy("key").agg(F.min("root").alias("_a"), F.max("root").alias("_b")).where("_a <> _b").select("key")
-        rest = written(named.join(several, "key", "left_semi"))
-        if rest.isEmpty():
-            return roots if roots is not None else components(found)
-        lead = written(rest.groupBy("key", (F.xxhash64("id") % leaders).alias("turn")).agg(F.min(F.struct("id", "n", "root")).alias("lead")))
-        met = rest.join(lead.select("key", "lead"), "key").where("root <> lead.root").where(F.least("n", "lead.n") >= level * F.greatest("n", "lead.n") - 1e-9)
-        pairs = written(met.select(F.least("id", "lead.id").alias("a"), F.greatest("id", "lead.id").alias("b")).distinct().join(tested, ["a", "b"], "left_anti"))
-        found = found.union(check(written(alike(pairs, one))))
-        tested, roots, leaders = tested.union(pairs), durable(components(found)), leaders * GROWTH
-        # leaders have met all; of the others, those stay whose bucket has several components
-        left = rest.select("key", "id", "n").join(lead.select("key", F.col("lead.id").alias("id")), ["key", "id"], "left_anti")
+    found = check(tested)
+
+    # each bucket's leader is compared with the others, whatever the links so far
+    sizes_fit = lambda n, m: F.least(n, m) >= level * F.greatest(n, m) - 1e-9
+    shared = written(keyed.groupBy("key").agg(F.count("*").alias("_n"), F.min(F.struct("id", "n")).alias("lead")).where("_n > 1"))
+    met = keyed.join(shared.select("key", "lead"), "key").where("id <> lead.id").where(sizes_fit(F.col("n"), F.col("lead.n")))
+    pairs = written(met.select(F.col("lead.id").alias("a"), F.col("id").alias("b")).distinct().join(tested, ["a", "b"], "left_anti"))
+    found, tested = found.union(check(written(alike(pairs, one)))), tested.union(pairs)
+    roots = durable(components(found))
+
+    # buckets that still have several components, without their leaders
+    left = keyed.join(shared.select("key", F.col("lead.id").alias("_lead")), "key").where("id <> _lead")
+    named = written(left.join(roots, left.id == roots.node, "left").select("key", "id", "n", F.coalesce("root", "id").alias("root")))
+    several = written(named.groupBy("key").agg(F.min("root").alias("_a"), F.max("root").alias("_b"), F.count("*").alias("_n")).where("_a <> _b").select("key", "_n"))
+    if several.isEmpty():
+        return roots
+    rest = named.join(several, "key")
+    few = rest.where(F.col("_n") <= small).select("key", "id", "n", "root")
+    other = few.toDF("key", "b", "m", "other")
+    met = few.join(other, "key").where("id < b AND root <> other").where(sizes_fit(F.col("n"), F.col("m")))
+    pairs = met.select(F.col("id").alias("a"), "b")
+    many = written(rest.where(F.col("_n") > small).select("id", "root").distinct())
+    if not many.isEmpty():
+        pairs = pairs.union(prefix_pairs(shingles(many), level))
+    pairs = written(pairs.distinct().join(tested, ["a", "b"], "left_anti"))
+    found = found.union(check(written(alike(pairs, one))))
+    return durable(components(found))
 
 
 def classes(docs: DataFrame, width: int = WIDTH, level: float = LEVEL) -> DataFrame:
