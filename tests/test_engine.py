@@ -236,3 +236,14 @@ def test_closest_by_hand_and_by_brute_force_agree(spark):
     want = seen(baselines.brute_nearest(rays, t, workloads.TRAVEL))
     assert want and seen(baselines.closest_hit(rays, indexed, workloads.TRAVEL)) == want
     assert seen(joins.nearest(rays, indexed, workloads.TRAVEL, ("id",), ("id",), workloads.HIT, name="m")) == want
+
+
+def test_sorted_join_sends_pairs_in_batches(spark, monkeypatch):
+    monkeypatch.setattr(baselines, "PAIRS_AT_ONCE", 500)
+    monkeypatch.setattr(baselines, "BUCKET_ROWS", 20)
+    rows = [(i, None if i == 7 else float(i % 13), None if i == 9 else float("nan") if i == 11 else float(-(i % 17))) for i in range(400)]
+    df = spark.createDataFrame(rows, "id long, a double, b double")
+    got = baselines.inequality_join(df, df, "a", "b", "id")
+    want = df.toDF("id", "a", "b").join(df.toDF("r", "c", "d"), F.expr("a < c AND b > d"))
+    assert sorted(map(tuple, got.collect())) == sorted(tuple(x) for x in want.select("id", "r").collect())
+    assert "MapInArrow" in got._jdf.queryExecution().toString() and "CoGroup" not in got._jdf.queryExecution().toString()
