@@ -247,3 +247,14 @@ def test_sorted_join_sends_pairs_in_batches(spark, monkeypatch):
     want = df.toDF("id", "a", "b").join(df.toDF("r", "c", "d"), F.expr("a < c AND b > d"))
     assert sorted(map(tuple, got.collect())) == sorted(tuple(x) for x in want.select("id", "r").collect())
     assert "MapInArrow" in got._jdf.queryExecution().toString() and "CoGroup" not in got._jdf.queryExecution().toString()
+
+
+def test_index_probe_searches_its_run(spark, monkeypatch):
+    monkeypatch.setattr(baselines, "PAIRS_AT_ONCE", 50)
+    rows = [(i, None if i == 7 else float("nan") if i == 11 else (i * 37 % 101) / 4.0, None if i == 9 else i % 23) for i in range(300)]
+    df = spark.createDataFrame(rows, "id long, x double, y int")
+    got = baselines.index_probe_join(df, df, "x", "y", 2.5, 3, ("id", "id"))
+    assert got.columns == ["a_id", "a_x", "a_y", "b_id", "b_x", "b_y"] and got.schema["a_y"].dataType.simpleString() == "int"
+    want = df.toDF("id", "x", "y").join(df.toDF("r", "c", "d"), F.expr("abs(x - c) <= 2.5 AND abs(y - d) <= 3"))
+    assert sorted(map(tuple, got.select("a_id", "b_id").collect())) == sorted(map(tuple, want.select("id", "r").collect()))
+    assert "MapInArrow" in got._jdf.queryExecution().toString()  # no pair of a bucket is made before the run is searched
