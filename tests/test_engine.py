@@ -258,3 +258,12 @@ def test_index_probe_searches_its_run(spark, monkeypatch):
     want = df.toDF("id", "x", "y").join(df.toDF("r", "c", "d"), F.expr("abs(x - c) <= 2.5 AND abs(y - d) <= 3"))
     assert sorted(map(tuple, got.select("a_id", "b_id").collect())) == sorted(map(tuple, want.select("id", "r").collect()))
     assert "MapInArrow" in got._jdf.queryExecution().toString()  # no pair of a bucket is made before the run is searched
+
+
+def test_best_of_all_pairs_is_hashed_and_ties_go_to_the_smallest_id(spark):
+    near = abs_(col("v", 0) - col("v", 1))
+    a = spark.createDataFrame([(i, float(i)) for i in range(30)] + [(99, None)], "id long, v double")
+    b = spark.createDataFrame([(100 + i, float(i % 10)) for i in range(40)] + [(90, None)], "id long, v double")
+    got = baselines.brute_nearest(a, b, near)
+    assert sorted(map(tuple, got.collect())) == [(i, 100 + min(i, 9), float(max(0, i - 9))) for i in range(30)]
+    assert "SortAggregate" not in got._jdf.queryExecution().executedPlan().toString()
