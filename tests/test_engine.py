@@ -267,3 +267,13 @@ def test_best_of_all_pairs_is_hashed_and_ties_go_to_the_smallest_id(spark):
     got = baselines.brute_nearest(a, b, near)
     assert sorted(map(tuple, got.collect())) == [(i, 100 + min(i, 9), float(max(0, i - 9))) for i in range(30)]
     assert "SortAggregate" not in got._jdf.queryExecution().executedPlan().toString()
+
+
+def test_only_what_beats_the_bound_is_ranked(spark):
+    t = build(points(spark, 500), TreeSpec.interval("x", leaf_rows=20, fanout=3))
+    outer = spark.createDataFrame([(i, i * 97.5) for i in range(10)], "id long, v double")
+    for k in (1, 2):
+        got = joins.nearest(outer, t, abs_(col("v", 0) - col("x", 1)), ("id",), ("id",), k=k)
+        want = {i: sorted((abs(i * 97.5 - r["x"]), r["id"]) for r in t.rows.collect())[:k] for i in range(10)}
+        assert sorted((r["id"], r["metric"], r["r_id"]) for r in got.collect()) == sorted((i, *w) for i, ws in want.items() for w in ws)
+        assert "monotonically_increasing_id" in got._jdf.queryExecution().optimizedPlan().toString()
