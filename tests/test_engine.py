@@ -277,3 +277,12 @@ def test_only_what_beats_the_bound_is_ranked(spark):
         want = {i: sorted((abs(i * 97.5 - r["x"]), r["id"]) for r in t.rows.collect())[:k] for i in range(10)}
         assert sorted((r["id"], r["metric"], r["r_id"]) for r in got.collect()) == sorted((i, *w) for i, ws in want.items() for w in ws)
         assert "monotonically_increasing_id" in got._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_grouped_folds_need_no_arrays(spark):
+    t = build(points(spark, 200), TreeSpec.interval("x", leaf_rows=20, fanout=3))
+    outer = spark.createDataFrame([(1, 0.0, 300.0), (2, 5000.0, 6000.0)], "id long, lo double, hi double")
+    got = joins.single_index_join(outer, t, col("x", 1).between(col("lo", 0), col("hi", 0)), "grouped", ("id",), folds={"n": lambda of: F.count("*"), "s": lambda of: F.sum(of("id"))})
+    want = points(spark, 200).where("x BETWEEN 0 AND 300").agg(F.count("*"), F.sum("id")).first()
+    assert sorted(map(tuple, got.select("id", "n", "s").collect())) == [(1, *want), (2, None, None)]
+    assert "collect_list" not in got._jdf.queryExecution().toString()
