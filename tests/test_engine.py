@@ -286,3 +286,28 @@ def test_grouped_folds_need_no_arrays(spark):
     want = points(spark, 200).where("x BETWEEN 0 AND 300").agg(F.count("*"), F.sum("id")).first()
     assert sorted(map(tuple, got.select("id", "n", "s").collect())) == [(1, *want), (2, None, None)]
     assert "collect_list" not in got._jdf.queryExecution().toString()
+
+
+def test_best_members_are_found_in_tasks(spark):
+    """No pair of an outer row and a node is shuffled or sorted; nulls, NaN and ties are as in all pairs."""
+    nan = float("nan")
+    rows = [(i, None if i % 50 == 7 else nan if i % 50 == 9 else float(i * 37 % 101), i % 13) for i in range(400)]
+    t = build(spark.createDataFrame(rows, "id long, x double, y int"), TreeSpec.boxes(("x", "y"), leaf_rows=8, fanout=3))
+    probes = [(i, None if i == 5 else nan if i == 6 else i * 3.5, i % 13) for i in range(40)]
+    outer = spark.createDataFrame(probes, "id long, v double, w int")
+    m, p = abs_(col("v", 0) - col("x", 1)), col("w", 0).eq(col("y", 1))
+    order = lambda x: (x != x, 0 if x != x else x)
+    for k in (1, 3):
+        got = joins.nearest(outer, t, m, ("id",), ("id",), p, k=k)
+        assert "MapInArrow" in got._jdf.queryExecution().toString() and "Window" not in got._jdf.queryExecution().toString()
+        want = []
+        for i, v, w in probes:
+            near = sorted((order(abs(v - x)), j) for j, x, y in rows if v is not None and x is not None and y == w)[:k]
+            want += [(i, j) for _, j in near]
+        assert sorted((r["id"], r["r_id"]) for r in got.collect()) == sorted(want)
+    hit = both(p, m < 0.75)
+    some = {i for i, v, w in probes if v is not None and any(x is not None and y == w and order(abs(v - x)) < (False, 0.75) for _, x, y in rows)}
+    for negate in (False, True):
+        got = joins.exists_join(outer, t, hit, ("id",), negate)
+        assert "MapInArrow" in got._jdf.queryExecution().toString()
+        assert {r["id"] for r in got.collect()} == (set(range(40)) - some if negate else some)
