@@ -311,3 +311,17 @@ def test_best_members_are_found_in_tasks(spark):
         got = joins.exists_join(outer, t, hit, ("id",), negate)
         assert "MapInArrow" in got._jdf.queryExecution().toString()
         assert {r["id"] for r in got.collect()} == (set(range(40)) - some if negate else some)
+
+
+def test_members_are_counted_in_tasks(spark):
+    nan = float("nan")
+    rows = [(i, None if i % 50 == 7 else nan if i % 50 == 9 else float(i * 37 % 101), i % 13) for i in range(400)]
+    df = spark.createDataFrame(rows, "id long, x double, y int")
+    t = build(df, TreeSpec.boxes(("x", "y"), leaf_rows=8, fanout=3))
+    for p, sql in ((both(abs_(col("x", 0) - col("x", 1)) <= 2, col("y", 0) < col("y", 1)), "abs(x - v) <= 2 AND y < w"), (both(col("x", 0) >= col("x", 1)), "x >= v")):
+        got = joins.count_join(df, t, p)
+        want = df.join(df.toDF("r", "v", "w"), F.expr(sql)).groupBy("id").count()
+        assert got.columns == ["id", "x", "y", "n"] and sorted((r["id"], r["n"]) for r in got.collect()) == sorted(map(tuple, want.collect()))
+        assert "MapInArrow" in got._jdf.queryExecution().toString()
+    overlaps = workloads.QUERIES["interval_overlap"](spark, "/root/testdata/sf0.001")
+    assert "MapInArrow" in overlaps._jdf.queryExecution().toString()  # no pair of sessions leaves a task
