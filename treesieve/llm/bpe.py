@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import list_array, ragged, slices, table
+from .common import list_array, ragged, released, slices, table
 
 #: Fixed value: how the byte-level vocabulary splits text before any merge.
 WORD = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
@@ -301,8 +301,9 @@ def _with(part: pa.RecordBatch, name: str, values: pa.Array) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([*(part.column(n) for n in keep), values], names=[*keep, name])
 
 
-def encode(df: DataFrame, column: str = "text", out: str = "token_ids", path: str | None = None, rows: int = 2048) -> DataFrame:
-    """df with the ids of a text column in ``out``, array<int>."""
+def encode(df: DataFrame, column: str = "text", out: str = "token_ids", path: str | None = None, rows: int = 2048, hold: bool = True) -> DataFrame:
+    """df with the ids of a text column in ``out``, array<int>. Without ``hold``, a worker lets go of the vocabulary too at the
+    end of each task."""
     path = path or vocabulary_path()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -312,6 +313,10 @@ def encode(df: DataFrame, column: str = "text", out: str = "token_ids", path: st
                 ids, lengths = t.encode_batch([x or "" for x in part.column(column).to_pylist()])
                 yield _with(part, out, list_array(pa.array(ids), lengths))
         t.forget()
+        if not hold:
+            del t
+            trie.cache_clear()
+            released()
 
     return df.mapInArrow(run, _added(df.schema, out, T.ArrayType(T.IntegerType())))
 
@@ -345,4 +350,4 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The documents as the trainer reads them: ids in place of text."""
-    return encode(docs.select("doc_id", "text", "lang", "source")).select("doc_id", "lang", "source", F.size("token_ids").cast("long").alias("n_tokens"), "token_ids")
+    return encode(docs.select("doc_id", "text", "lang", "source"), rows=256, hold=False).select("doc_id", "lang", "source", F.size("token_ids").cast("long").alias("n_tokens"), "token_ids")

@@ -34,7 +34,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import components, durable, list_array, texts, written
+from .common import components, durable, list_array, released, texts, written
 from .simhash import links, majority, shingle_hashes
 
 WIDTH, LEVEL, BANDS, ROWS, ALIKE = 5, 0.8, 24, 4, 60
@@ -83,6 +83,7 @@ def shingle_sets(docs: DataFrame, width: int = WIDTH, seed: int = 42) -> DataFra
             keys = list_array(pa.array(np.concatenate([bands(x) if len(s) else np.empty(0, np.int64) for x, s in zip(least, sets, strict=True)])), np.array([BANDS if len(s) else 0 for s in sets]))
             sketch = pa.array([x.astype(np.uint8).tobytes() for x in least], pa.binary())
             yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(ids), pa.array([len(s) for s in sets], pa.int32()), pa.array(fps), keys, sketch, members], names=["doc_id", "id", "n", "fp", "keys", "sketch", "shingles"])
+        released()
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, id long, n int, fp long, keys array<long>, sketch binary, shingles array<int>")
 

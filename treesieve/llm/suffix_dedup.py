@@ -41,7 +41,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import table, texts, written
+from .common import released, table, texts, written
 
 MIN_WORDS, PREFIX, GRAM = 50, 25, 8
 STARTS = MIN_WORDS - PREFIX + 1
@@ -117,6 +117,7 @@ def suffixes(docs: DataFrame) -> DataFrame:
                     c.append(x)
             if out[0]:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in out], names=["key", "around", "doc", "pos", "right"])
+        released()
 
     return docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc"), "text").mapInArrow(run, "key long, around long, doc long, pos int, right int")
 
@@ -140,6 +141,7 @@ def contexts(docs: DataFrame, places: DataFrame) -> DataFrame:
                             c.append(x)
             if out[0]:
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(out, (pa.int64(), pa.int32(), pa.int64(), pa.binary(), pa.binary()), strict=True)], names=["doc", "pos", "key", "ahead", "behind"])
+        released()
 
     return both.mapInArrow(run, "doc long, pos int, key long, ahead binary, behind binary")
 
@@ -218,6 +220,7 @@ def windows(reached: DataFrame) -> DataFrame:
                 if len(at):
                     a, b = (_mix(m[at, most - back : most - back + MIN_WORDS] @ Hashes.powers(base, MIN_WORDS)).view(np.int64) for m, base in zip(mixed, BASES, strict=True))
                     yield pa.RecordBatch.from_arrays([pa.array(x) for x in (a, b, doc[at], (pos[at] - back).astype(np.int32))], names=["a", "b", "doc", "pos"])
+        released()
 
     return reached.mapInArrow(run, "a long, b long, doc long, pos int")
 
@@ -273,6 +276,7 @@ def without(docs: DataFrame, spans: DataFrame) -> DataFrame:
                     text = b"".join([*keep, text[last:]])
                 done.append(text)
             yield pa.RecordBatch.from_arrays([pa.array(done, pa.binary()).cast(pa.string()) if n == "text" else part.column(n) for n in names], names=names)
+        released()
 
     return joined.mapInArrow(run, docs.schema)
 
