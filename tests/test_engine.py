@@ -325,3 +325,33 @@ def test_members_are_counted_in_tasks(spark):
         assert "MapInArrow" in got._jdf.queryExecution().toString()
     overlaps = workloads.QUERIES["interval_overlap"](spark, "/root/testdata/sf0.001")
     assert "MapInArrow" in overlaps._jdf.queryExecution().toString()  # no pair of sessions leaves a task
+
+
+def odd_rows(n):
+    nan = float("nan")
+    return [(i, None if i % 50 == 7 else nan if i % 50 == 9 else float("inf") if i % 50 == 11 else float(i * 37 % 101), i % 13) for i in range(n)]
+
+
+CLOSE_PAIRS = [
+    (both(abs_(col("x", 0) - col("x", 1)) <= 2, col("y", 0) < col("y", 1)), "abs(x - v) <= 2 AND y < w"),
+    (both(col("x", 0) < col("x", 1), col("y", 0) > col("y", 1)), "x < v AND y > w"),
+    (both((col("x", 0) - col("x", 1)) * (col("x", 0) - col("x", 1)) + (col("y", 0) - col("y", 1)) * (col("y", 0) - col("y", 1)) >= 9, (col("x", 0) - col("x", 1)) * (col("x", 0) - col("x", 1)) <= 25), "(x - v) * (x - v) + (y - w) * (y - w) >= 9 AND (x - v) * (x - v) <= 25"),
+    (both(col("y", 0) < col("y", 1) - 10, col("id", 0) < col("id", 1)), "y < w - 10 AND id < r"),
+]
+
+
+@pytest.mark.parametrize("odd", [True, False])
+def test_leaves_meet_in_tasks(spark, odd):
+    """Rows of paired leaves are no rows of a join; pairs leave a task in arrays."""
+    df = spark.createDataFrame([r for r in odd_rows(400) if odd or r[1] is not None and r[1] - r[1] == 0], "id long, x double, y int")
+    t = build(df, TreeSpec.boxes(("x", "y"), Agg("count"), leaf_rows=8, fanout=3))
+    for p, sql in CLOSE_PAIRS:
+        want = sorted(map(tuple, df.join(df.toDF("r", "v", "w"), F.expr(sql)).select("id", "r").collect()))
+        made = joins.Pairs(t, t, p)
+        got = made.rows((["id"], ["id"]))
+        assert got.columns == ["_l_id", "_r_id"] and sorted(map(tuple, got.collect())) == want
+        assert sorted((r["id"], r["r_id"]) for r in joins.dual_index_join(t, t, p).collect()) == want
+        assert made.count().first()[0] == len(want)
+        for plan in (got, made.count()):
+            assert "MapInArrow" in plan._jdf.queryExecution().toString()
+    assert joins.dual_index_join(t, t, CLOSE_PAIRS[0][0]).schema.simpleString() == "struct<id:bigint,x:double,y:int,r_id:bigint,r_x:double,r_y:int>"
