@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from treesieve import streaming, workloads
 from treesieve.functions.expr import AnalysisError, E, abs_, bind, both, col, lit, sqrt_
-from treesieve.operators import baselines, joins, measures
+from treesieve.operators import baselines, joins, measures, pairs
 from treesieve.operators.tree import Agg, Forest, TreeSpec, build, read_index
 from treesieve.plans.query import Q, prune_with
 
@@ -355,3 +355,33 @@ def test_leaves_meet_in_tasks(spark, odd):
         for plan in (got, made.count()):
             assert "MapInArrow" in plan._jdf.queryExecution().toString()
     assert joins.dual_index_join(t, t, CLOSE_PAIRS[0][0]).schema.simpleString() == "struct<id:bigint,x:double,y:int,r_id:bigint,r_x:double,r_y:int>"
+
+@pytest.mark.parametrize("odd", [True, False])
+def test_all_pairs_are_tested_in_tasks(spark, monkeypatch, odd):
+    monkeypatch.setattr(pairs, "WIDTH", 24)
+    monkeypatch.setattr(pairs, "WORK", 1 << 10)
+    df = spark.createDataFrame([r for r in odd_rows(400) if odd or r[1] is not None and r[1] - r[1] == 0], "id long, x double, y int")
+    other = df.where("id % 3 <> 1")
+    for p, sql in CLOSE_PAIRS:
+        want = sorted(map(tuple, df.join(other.toDF("r", "v", "w"), F.expr(sql)).select("id", "r").collect()))
+        got = joins.nested_join(df, other, p, out=(["id"], ["id"]))
+        assert got.columns == ["id", "r_id"] and sorted(map(tuple, got.collect())) == want
+        whole = joins.nested_join(df, other, p)
+        assert whole.columns == ["id", "x", "y", "r_id", "r_x", "r_y"] and sorted((r["id"], r["r_id"]) for r in whole.collect()) == want
+        assert "MapInArrow" in got._jdf.queryExecution().toString() and "NestedLoop" not in got._jdf.queryExecution().toString()
+
+
+def test_least_of_all_pairs_is_found_in_tasks(spark):
+    """No pair is a row: nulls, NaN, infinity, ties and rows with one id are as in all pairs."""
+    nan = float("nan")
+    inner = spark.createDataFrame([(900 - i, x) for i, x, _ in odd_rows(300)], "id long, x double")
+    probes = [(i % 35, None if i == 5 else nan if i == 6 else i * 3.5) for i in range(40)]
+    got = baselines.brute_nearest(spark.createDataFrame(probes, "id long, v double"), inner, abs_(col("v", 0) - col("x", 1)))
+    order = lambda x: (x != x, 0 if x != x else x)
+    want = {}
+    for i, v in probes:
+        near = [(order(abs(v - r["x"])), r["id"]) for r in inner.collect() if v is not None and r["x"] is not None] if i not in want else want[i]
+        want[i] = near if i not in want else near + [(order(abs(v - r["x"])), r["id"]) for r in inner.collect() if v is not None and r["x"] is not None]
+    assert sorted((r["id"], r["r_id"], order(r["m"])) for r in got.collect()) == sorted((i, min(n)[1], min(n)[0]) for i, n in want.items() if n)
+    plan = got._jdf.queryExecution().toString()
+    assert "MapInArrow" in plan and "Cartesian" not in plan and "NestedLoop" not in plan
